@@ -42,3 +42,22 @@ def ascii_lower(c):
 def small(df: DataFrame, limit: int = 100_000) -> DataFrame:
     """`df`, marked for broadcast only if it is shown to have at most `limit` rows; `df` should be cut before."""
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df
+
+
+def bind(c, f):
+    """f(c) with c evaluated once for each row, though f uses it many times."""
+    return F.transform(F.array(c), f)[0]
+
+
+def prefix_sums(a, chunk: int = 256):
+    """For an array<long>, the sum of what stands before each element; near-linear in its length."""
+    total = lambda x: F.aggregate(x, F.lit(0).cast("long"), lambda s, v: s + v)
+
+    def of(a):
+        starts = F.sequence(F.lit(0), F.floor((F.size(a) - 1) / chunk).cast("int"))
+        part = lambda i: F.slice(a, i * chunk + 1, chunk)
+        inside = lambda q: F.transform(q["part"], lambda _, i: q["before"] + total(F.slice(q["part"], F.lit(1), i)))
+        sums = F.transform(starts, lambda i: total(part(i)))
+        return bind(sums, lambda t: F.flatten(F.transform(starts, lambda i: bind(F.struct(total(F.slice(t, F.lit(1), i)).alias("before"), part(i).alias("part")), inside))))
+
+    return F.when(F.size(a) > 0, bind(a, of)).otherwise(F.array().cast("array<bigint>"))
