@@ -10,7 +10,9 @@ between classes are found without listing the pairs of a bucket:
 
 1. every bucket has a hub; a class is verified against the hub that it shares most buckets with;
 2. classes still apart from other hubs of their buckets are verified against these;
-3. what shares a bucket and is apart even then is compared pair by pair, sketches first (inside the join condition).
+3. classes apart from their bucket's commonest label are verified against a few classes drawn from it;
+4. what shares a bucket and is apart even then is compared pair by pair, inside the join condition: sizes and parities
+   of the sets (exact bounds), then sketches.
 
 Classes that are connected already are never compared again. Verification computes both full sets of shingles and
 counts 100 * shared >= 80 * union. Components: links contracted to labels, smallest label spread with pointer jumps.
@@ -29,7 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from revnn.llm.common import cut, table
@@ -38,11 +40,13 @@ T, BAND = 128, 4
 BANDS = T // BAND
 #: Of T coordinates (4 bits each), so many may differ in a pair that is verified: six deviations off for a link.
 MOST_APART = 50
+#: Classes of a bucket's commonest label that others meet.
+DRAWS = 3
 WORDS_IN_SHINGLE, PERCENT = 2, 80
 SLICE = 1 << 21
 U = np.uint64
 BASE = 0x9E3779B97F4A7C15 | 1
-SKETCHES = "doc_id long, th long, n long, gid binary, bands array<long>, " + ", ".join(f"s{i} long" for i in range(8))
+SKETCHES = "doc_id long, th long, n long, gid binary, bands array<long>, " + ", ".join([f"s{i} long" for i in range(8)] + [f"p{i} long" for i in range(16)])
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -166,6 +170,11 @@ def short_form(c: np.ndarray) -> np.ndarray:
     return (bits.reshape(8, 16) << (U(4) * np.arange(16, dtype=U))).sum(axis=1, dtype=U).view(np.int64)
 
 
+def parity(s: np.ndarray) -> np.ndarray:
+    """1024 bits, each the parity of the set's elements that fall on it: sets differ in no fewer elements than bits."""
+    return np.packbits(np.bincount((s >> U(20)).astype(np.int64) & 1023, minlength=1024) & 1).view(np.int64)
+
+
 def digest(s: np.ndarray) -> bytes:
     return hashlib.blake2b(s.tobytes(), digest_size=16).digest()
 
@@ -183,13 +192,13 @@ def _sketch_rows(k: int):
                         c = sketch(s)
                         gids.append(digest(s))
                         bands.append(band_keys(c))
-                        shorts.append(short_form(c))
+                        shorts.append(np.concatenate([short_form(c), parity(s)]))
                     else:
                         gids.append(None)
                         bands.append(None)
-                        shorts.append(np.zeros(8, np.int64))
+                        shorts.append(np.zeros(24, np.int64))
                 columns = [part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(gids, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
-                yield pa.RecordBatch.from_arrays([*columns, *(pa.array(x) for x in np.array(shorts).T.copy())], names=names)
+                yield pa.RecordBatch.from_arrays([*columns, *(pa.array(x) for x in np.array(shorts, np.int64).reshape(-1, 24).T.copy())], names=names)
 
     return run
 
@@ -209,6 +218,15 @@ def apart(a: str, b: str) -> Column:
     return total
 
 
+def may_link(a: str, b: str, percent: int) -> Column:
+    """False for pairs that sizes or parities rule out (exact bounds), or whose sketches are too far apart."""
+    n, m = F.col(f"{a}.n"), F.col(f"{b}.n")
+    differ = F.lit(0)
+    for i in range(16):
+        differ = differ + F.bit_count(F.col(f"{a}.p{i}").bitwiseXOR(F.col(f"{b}.p{i}")))
+    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (differ * (100 + percent) <= (100 - percent) * (n + m)) & (apart(a, b) <= MOST_APART)
+
+
 def verify(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) of class ids whose full sets are similar enough."""
 
@@ -228,32 +246,31 @@ def verify(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFram
 
 
 def contract(links: DataFrame) -> DataFrame:
-    """Links (a, b) between labels -> (node, label) for every label in a link: the smallest label of its component."""
+    """Links (a, b) -> (node, label) for every node of a link: the smallest node of its component."""
     both = cut(links.select("a", "b").union(links.select("b", "a")).where("a != b").distinct())
-    labels = cut(both.groupBy(F.col("a").alias("node")).agg(F.least(F.first("a"), F.min("b")).alias("label")))
+    labels = both.groupBy(F.col("a").alias("node")).agg(F.least(F.first("a"), F.min("b")).alias("label"))
     while True:
         near = both.join(labels, both["b"] == labels["node"]).groupBy("a").agg(F.min("label").alias("near"))
         new = labels.join(near, labels["node"] == near["a"]).select("node", F.least("label", "near").alias("new"), F.col("label").alias("old"))
         jump = new.select(F.col("node").alias("via"), F.col("new").alias("far"))
         new = cut(new.join(jump, new["new"] == jump["via"], "left").select("node", F.least("new", "far").alias("label"), "old"))
-        changed = new.where("label != old").limit(1).count()
+        done = new.where("label != old").isEmpty()
         labels = new.select("node", "label")
-        if not changed:
+        if done:
             return labels
 
 
 def relabel(labels: DataFrame, links: DataFrame) -> DataFrame:
     """labels (gid, label) after links (a, b) between class ids."""
     named = links.join(labels.select(F.col("gid").alias("a"), F.col("label").alias("la")), "a").join(labels.select(F.col("gid").alias("b"), F.col("label").alias("lb")), "b")
-    named = cut(named.where("la != lb").select(F.col("la").alias("a"), F.col("lb").alias("b")).distinct())
-    if named.limit(1).count() == 0:
-        return labels
-    moved = contract(named)
+    moved = contract(named.select(F.col("la").alias("a"), F.col("lb").alias("b")))
     return cut(labels.join(moved, labels["label"] == moved["node"], "left").select("gid", F.coalesce(moved["label"], labels["label"]).alias("label")))
 
 
 def near_duplicates(docs: DataFrame, k: int = WORDS_IN_SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """doc_id, th, n_shingles, component_id, kept for every row of `docs` (doc_id, text); th is the text's hash."""
+    """doc_id, th, n_shingles, component_id, kept, label for every row of `docs` (doc_id, text).
+
+    th is the text's hash, label names the component (null for empty sets)."""
     rows = cut(with_text_hash(docs).mapInArrow(_sketch_rows(k), SKETCHES))
     found = components(docs, rows, k, percent)
     # class -> smallest doc_id of its component
@@ -261,55 +278,72 @@ def near_duplicates(docs: DataFrame, k: int = WORDS_IN_SHINGLE, percent: int = P
     named = classes.join(found, "gid", "left").withColumn("label", F.coalesce("label", "gid"))
     # only classes with links share a label; the others need no second look
     linked = named.groupBy("label").agg(F.min("least").alias("component"))
-    named = named.join(linked, "label").select("gid", "component")
+    named = named.join(linked, "label").select("gid", "component", "label")
     salted = named.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(15))))
     d = rows.select("doc_id", "th", "n", "gid", F.pmod(F.xxhash64("doc_id", "th"), F.lit(16)).cast("int").alias("salt"))
     d = d.join(salted, ["gid", "salt"], "left").withColumn("component_id", F.when(F.col("gid").isNull(), F.col("doc_id")).otherwise(F.col("component")))
-    return d.select("doc_id", "th", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)).alias("kept"))
+    return d.select("doc_id", "th", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)).alias("kept"), "label")
 
 
 def components(docs: DataFrame, rows: DataFrame, k: int, percent: int) -> DataFrame:
     """(gid, label) of every class that shares a bucket with another one."""
-    shorts = [f"s{i}" for i in range(8)]
-    reps = rows.where("gid is not null").groupBy("gid").agg(F.min(F.struct("doc_id", "th")).alias("one"), F.first("bands").alias("bands"), *(F.first(s).alias(s) for s in shorts))
+    shorts = [f"s{i}" for i in range(8)] + [f"p{i}" for i in range(16)]
+    reps = rows.where("gid is not null").groupBy("gid").agg(F.min(F.struct("doc_id", "th")).alias("one"), F.first("bands").alias("bands"), F.first("n").alias("n"), *(F.first(s).alias(s) for s in shorts))
     reps = cut(reps)
     entries = reps.select("gid", F.posexplode("bands").alias("band", "key"))
     size = entries.groupBy("band", "key").agg(F.count(F.lit(1)).alias("size"), F.max("gid").alias("hub")).where("size > 1")
     entries = cut(entries.join(size, ["band", "key"]).select("band", "key", "gid", "hub"))
 
-    labels = cut(entries.select("gid").distinct().withColumn("label", F.col("gid")))
-    wanted = reps.join(labels, "gid", "left_semi").select("gid", "one.doc_id", "one.th")
+    own = cut(entries.select("gid").distinct())
+    wanted = reps.join(own, "gid", "left_semi").select("gid", "one.doc_id", "one.th")
     source = with_text_hash(docs)
     on = source["doc_id"].eqNullSafe(wanted["doc_id"]) & (source["th"] == wanted["th"])
     # equal rows are equal texts: a class needs one of them
     texts = cut(source.join(wanted, on).select("gid", "text").dropDuplicates(["gid"]))
 
-    shared = cut(entries.where("gid != hub").groupBy(F.col("gid").alias("a"), F.col("hub").alias("b")).agg(F.count(F.lit(1)).alias("bands")))
-    first = shared.groupBy("a").agg(F.max_by("b", F.struct("bands", "b")).alias("b"))
-    labels = relabel(labels, verify(first, texts, k, percent))
-
-    look = reps.select("gid", *shorts)
-    of = lambda side: look.select(F.col("gid").alias(side), F.struct(*shorts).alias(f"{side}_s"))
-    known = lambda side: labels.select(F.col("gid").alias(side), F.col("label").alias(f"{side}_label"))
-    rest = shared.join(first, ["a", "b"], "left_anti").join(known("a"), "a").join(known("b"), "b").where("a_label != b_label").select("a", "b")
-    rest = cut(rest)
-    tested = cut(first.union(rest))
-    if rest.limit(1).count():
-        close = rest.join(of("a"), "a").join(of("b"), "b").where(apart("a_s", "b_s") <= MOST_APART).select("a", "b")
-        labels = relabel(labels, verify(close, texts, k, percent))
-
-    named = entries.select("band", "key", "gid").join(labels, "gid")
-    mixed = named.groupBy("band", "key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("band", "key")
-    open_ = cut(named.join(mixed, ["band", "key"], "left_semi").join(look, "gid"))
-    if open_.limit(1).count():
-        x, y = open_.alias("x"), open_.alias("y")
-        on = (F.col("x.band") == F.col("y.band")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.gid") < F.col("y.gid")) & (F.col("x.label") != F.col("y.label"))
-        pairs = x.join(y, on & (apart("x", "y") <= MOST_APART)).select(F.col("x.gid").alias("a"), F.col("y.gid").alias("b")).distinct()
-        done = tested.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-        pairs = cut(pairs.join(done, ["a", "b"], "left_anti"))
-        if pairs.limit(1).count():
-            labels = relabel(labels, verify(pairs, texts, k, percent))
-    return labels
+    shared = entries.where("gid != hub").groupBy(F.col("gid").alias("a"), F.col("hub").alias("b")).agg(F.count(F.lit(1)).alias("bands"))
+    best = shared.withColumn("nth", F.row_number().over(Window.partitionBy("a").orderBy(F.col("bands").desc(), "b")))
+    hubs = cut(best.select("a", "b", "nth"))
+    links = cut(verify(hubs.where("nth = 1").select("a", "b"), texts, k, percent))
+    # a hub is the largest id of its bucket, so these links are a forest; two steps up are near enough to a root here
+    up = own.join(links, own["gid"] == links["a"], "left").select("gid", F.coalesce("b", "gid").alias("to"))
+    root = up.select(F.col("gid").alias("via"), F.col("to").alias("root"))
+    near = up.join(root, up["to"] == root["via"]).select("gid", "root")
+
+    look = reps.select("gid", "n", "bands", *shorts)
+    of = lambda side: look.select(F.col("gid").alias(side), F.struct("n", *shorts).alias(f"{side}_s"))
+    known = lambda side: near.select(F.col("gid").alias(side), F.col("root").alias(f"{side}_root"))
+    rest = hubs.where("nth > 1").join(known("a"), "a").join(known("b"), "b").where("a_root != b_root").select("a", "b")
+    close = rest.join(of("a"), "a").join(of("b"), "b").where(may_link("a_s", "b_s", percent)).select("a", "b")
+    links = cut(links.union(verify(close, texts, k, percent)))
+    labels = relabel(own.withColumn("label", F.col("gid")), links)
+
+    def still_mixed() -> DataFrame:
+        """Entries, with labels, of buckets that hold several."""
+        named = entries.select("band", "key", "gid").join(labels, "gid")
+        mixed = named.groupBy("band", "key").agg(F.min("label").alias("least"), F.max("label").alias("most")).where("least != most").select("band", "key")
+        return named.join(mixed, ["band", "key"], "left_semi")
+
+    # what is apart from its bucket's commonest label meets a few of that label's classes, drawn anew for each bucket
+    named = cut(still_mixed())
+    common = named.groupBy("band", "key", "label").agg(F.count(F.lit(1)).alias("n"), *(F.max_by("gid", F.xxhash64(F.lit(i), "gid", "band")).alias(f"h{i}") for i in range(DRAWS)))
+    common = common.groupBy("band", "key").agg(F.max(F.struct("n", "label", F.array(*(f"h{i}" for i in range(DRAWS))).alias("hubs"))).alias("top")).select("band", "key", "top.label", "top.hubs")
+    drawn = named.alias("x").join(common.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.label") != F.col("y.label")))
+    drawn = drawn.select("x.gid", F.explode("y.hubs").alias("hub")).select(F.least("gid", "hub").alias("a"), F.greatest("gid", "hub").alias("b")).distinct()
+    drawn = drawn.join(hubs.select("a", "b"), ["a", "b"], "left_anti").join(of("a"), "a").join(of("b"), "b").where(may_link("a_s", "b_s", percent)).select("a", "b")
+    drawn = cut(drawn)
+    labels = relabel(labels, cut(verify(drawn, texts, k, percent)))
+
+    open_ = still_mixed().join(look, "gid")
+    x, y = open_.alias("x"), open_.alias("y")
+    on = (F.col("x.band") == F.col("y.band")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.gid") < F.col("y.gid")) & (F.col("x.label") != F.col("y.label"))
+    # a pair is made in the first band that it shares only
+    before = lambda side: F.slice(f"{side}.bands", F.lit(1), F.col("x.band"))
+    first = ~F.exists(F.zip_with(before("x"), before("y"), lambda p, q: p == q), lambda same: same)
+    pairs = x.join(y, on & may_link("x", "y", percent) & first).select(F.col("x.gid").alias("a"), F.col("y.gid").alias("b"))
+    done = hubs.select("a", "b").union(drawn)  # a < b: a hub is the largest of its bucket
+    links = cut(verify(pairs.join(done, ["a", "b"], "left_anti"), texts, k, percent))
+    return labels if links.isEmpty() else relabel(labels, links)
 
 
 def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
