@@ -61,3 +61,25 @@ def prefix_sums(a, chunk: int = 256):
         return bind(sums, lambda t: F.flatten(F.transform(starts, lambda i: bind(F.struct(total(F.slice(t, F.lit(1), i)).alias("before"), part(i).alias("part")), inside))))
 
     return F.when(F.size(a) > 0, bind(a, of)).otherwise(F.array().cast("array<bigint>"))
+
+
+BITMAP = 1 << 15
+BITS = 1 << 24
+
+
+def fixed_filter(keys: DataFrame, *names: str):
+    """A test for rows whose `names` may be among `keys`: a bit for each hash, BITS of them whatever the input.
+
+    Returns f(df, flag): df with a boolean column, false only for rows that surely are not among the keys. What is
+    broadcast is BITS / 8 bytes at most; with ever more keys the test lets more pass, and stays right."""
+    bit = lambda: F.pmod(F.xxhash64(*names), F.lit(BITS))
+    rows = keys.select(F.floor(bit() / BITMAP).alias("_bucket"), (bit() % BITMAP).alias("_bit"))
+    maps = F.broadcast(cut(rows.groupBy("_bucket").agg(F.bitmap_construct_agg("_bit").alias("_map"))))
+
+    def marked(df: DataFrame, flag: str) -> DataFrame:
+        d = df.withColumns({"_bucket": F.floor(bit() / BITMAP), "_bit": (bit() % BITMAP).cast("int")}).join(maps, "_bucket", "left")
+        byte = F.conv(F.hex(F.substring("_map", (F.floor(F.col("_bit") / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+        there = F.coalesce(byte.bitwiseAND(F.expr("shiftleft(1, _bit % 8)")) != 0, F.lit(False))
+        return d.withColumn(flag, there).drop("_bucket", "_bit", "_map")
+
+    return marked

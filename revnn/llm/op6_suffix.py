@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from revnn.llm.common import shared_dir, table
+from revnn.llm.common import fixed_filter, shared_dir, small, table
 
 LENGTH, GRAM = 400, 64
 REACH = LENGTH - GRAM
@@ -44,6 +44,8 @@ RANGE_KEYS, SPLIT_SAMPLE, RUN_KEYS = 8192, 4096, 20_000
 #: A byte that no UTF-8 text has: ends the first part of a key.
 END = b"\xff"
 SALTS = 16
+#: Open windows up to which they are broadcast (36 bytes each).
+ASKED = 100_000
 U = np.uint64
 BASE = 0xD1B54A32D192ED03
 ANCHOR = "array<struct<fp:bigint,a:bigint,lo:int,hi:int,ctx:binary>>"
@@ -109,7 +111,10 @@ def anchors(text: bytes) -> list[tuple[int, int, int, int]]:
         start = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
         stop = np.concatenate([start[1:], [len(at)]])
         place = at[start]
-        out += zip(h[place].view(np.int64).tolist(), (place + first).tolist(), (place - stop + 1).tolist(), (place - start).tolist(), strict=True)
+        more = list(zip(h[place].view(np.int64).tolist(), (place + first).tolist(), (place - stop + 1).tolist(), (place - start).tolist(), strict=True))
+        if out and out[-1][1] == more[0][1]:  # an anchor of windows on both sides of a cut is one anchor
+            more[0] = (*more[0][:3], out.pop()[3])
+        out += more
     return out
 
 
@@ -305,7 +310,8 @@ SPANS = "array<struct<lo:int,hi:int>>"
 
 def sorted_sides(contexts: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
     """For both sorts: ctx, most, spans."""
-    sample = contexts.select("ahead", "back").orderBy(F.xxhash64("ctx"), "ctx").limit(SPLIT_SAMPLE).collect()
+    # about SPLIT_SAMPLE keys, whatever n
+    sample = contexts.where(F.pmod(F.xxhash64("ctx"), F.lit(max(n, SPLIT_SAMPLE))) < SPLIT_SAMPLE).select("ahead", "back").collect()
     ranges = min(max(1, -(-n // RANGE_KEYS)), max(1, len(sample) // 8))
     found = []
     for kind in (1, 2):
@@ -330,13 +336,23 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(proven, kind), pa.array(left, pa.list_(pa.int32()))], names=["ctx", "proven", "open"])
 
 
+def window_id(ahead: bytes, back: bytes, x: int) -> bytes | None:
+    """A digest of the window that begins x bytes before the anchor, if the text has it."""
+    return hashlib.blake2b(back[len(back) - x :] + ahead[: LENGTH - x], digest_size=16).digest() if x <= len(back) and LENGTH - x <= len(ahead) else None
+
+
 def _windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """ctx, ahead, back, offsets -> a digest of each window that the text has."""
+    """ctx, fp, ahead, back, offsets -> a digest of each of these windows."""
+    for batch in batches:
+        out = [(ctx, fp, x, d) for ctx, fp, ahead, back, offsets in zip(*(c.to_pylist() for c in batch.columns), strict=True) for x in offsets if (d := window_id(ahead, back, x))]
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [()] * 4, (pa.binary(), pa.int64(), pa.int32(), pa.binary()), strict=True)], names=["ctx", "fp", "x", "window"])
+
+
+def _matches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """ctx, ahead, back, asked (windows of the same gram) -> the asked windows that stand here."""
     for batch in batches:
-        for ctx, ahead, back, offsets in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-            have = [x for x in offsets if x <= len(back) and LENGTH - x <= len(ahead)]
-            digests = [hashlib.blake2b(back[len(back) - x :] + ahead[: LENGTH - x], digest_size=16).digest() for x in have]
-            yield pa.RecordBatch.from_arrays([pa.array([ctx] * len(have), pa.binary()), pa.array(have, pa.int32()), pa.array(digests, pa.binary())], names=["ctx", "x", "window"])
+        out = [(ctx, w["window"]) for ctx, ahead, back, asked in zip(*(c.to_pylist() for c in batch.columns), strict=True) for w in asked if window_id(ahead, back, w["x"]) == w["window"]]
+        yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in (zip(*out, strict=True) if out else [()] * 2)], names=["ctx", "window"])
 
 
 def _context_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -387,12 +403,17 @@ def repeated_spans(docs: DataFrame, work: Work) -> DataFrame:
     rows = work.keep(with_key(docs).mapInArrow(_anchor_rows, f"doc_id long, tkey binary, n_bytes long, anchors {ANCHOR}"))
     every = rows.select("doc_id", "tkey", F.explode("anchors").alias("x")).select("doc_id", "tkey", "x.*")
     twice = every.groupBy("fp").agg(F.count(F.lit(1)).alias("n"), F.min("ctx").alias("one"), F.max("ctx").alias("other")).where("n > 1")
-    found = work.keep(every.join(twice.select("fp", (F.col("one") != F.col("other")).alias("mixed")), "fp"))
+    # kept before the join, so that both sides are exchanged and a frequent gram can be split
+    twice = work.keep(twice.select("fp", (F.col("one") != F.col("other")).alias("mixed")))
+    found = work.keep(every.join(twice, "fp"))
     by_ctx = work.keep(found.groupBy("ctx").agg(F.count(F.lit(1)).alias("n"), F.max("mixed").alias("mixed"), F.first("fp").alias("fp"), F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.min(F.struct("tkey", "doc_id", "a")).alias("at")))
 
     wanted = by_ctx.where("mixed").groupBy("at.tkey", "at.doc_id").agg(F.collect_list(F.struct("ctx", "fp", F.col("at.a").alias("a"))).alias("wanted"))
-    texts = with_key(docs).alias("d").join(wanted.alias("w"), (F.col("d.tkey") == F.col("w.tkey")) & F.col("d.doc_id").eqNullSafe(F.col("w.doc_id")))
-    contexts = work.keep(texts.select("d.text", "w.wanted").mapInArrow(_context_rows, "ctx binary, fp long, ahead binary, back binary").dropDuplicates(["ctx"]))
+    wanted = work.keep(wanted)
+    needed = fixed_filter(wanted, "tkey", "doc_id")(with_key(docs), "needed").where("needed")
+    texts = needed.alias("d").join(wanted.alias("w"), (F.col("d.tkey") == F.col("w.tkey")) & F.col("d.doc_id").eqNullSafe(F.col("w.doc_id")))
+    # equal rows give equal contexts; they do no harm, as such contexts are repeated anyway
+    contexts = work.keep(texts.select("d.text", "w.wanted").mapInArrow(_context_rows, "ctx binary, fp long, ahead binary, back binary"))
     ahead, back = sorted_sides(contexts, contexts.count())
     sides = ahead.withColumn("side", F.lit(1)).unionByName(back.withColumn("side", F.lit(2)))
     sides = sides.groupBy("ctx").agg(F.max(F.when(F.col("side") == 1, F.col("most"))).alias("ahead"), F.max(F.when(F.col("side") == 2, F.col("most"))).alias("back"), F.flatten(F.collect_list("spans")).alias("spans"))
@@ -400,12 +421,13 @@ def repeated_spans(docs: DataFrame, work: Work) -> DataFrame:
     sides = sides.join(alone, "ctx").select("ctx", "ahead", "back", "spans", "lo", "hi")
     settled = work.keep(sides.mapInArrow(_settle, f"ctx binary, proven {SPANS}, open array<int>"))
 
-    still = settled.where(F.size("open") > 0).select("ctx", F.explode("open").alias("x")).join(alone.select("ctx", "fp"), "ctx")
-    asked = still.groupBy("fp").agg(F.collect_set("x").alias("offsets"))
-    windows = contexts.join(asked, "fp").select("ctx", "ahead", "back", "offsets").mapInArrow(_windows, "ctx binary, x int, window binary")
-    windows = work.keep(windows)
-    again = windows.groupBy("window").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    proven = windows.join(again, "window").join(still.select("ctx", "x"), ["ctx", "x"], "left_semi").select("ctx", F.col("x").alias("lo"), F.col("x").alias("hi"))
+    # few windows are left; they are looked for where their gram stands
+    still = settled.where(F.size("open") > 0).select("ctx", F.col("open").alias("offsets"))
+    still = work.keep(contexts.join(small(still), "ctx").select("ctx", "fp", "ahead", "back", "offsets").mapInArrow(_windows, "ctx binary, fp long, x int, window binary"))
+    asked = small(still.groupBy("fp").agg(F.collect_set(F.struct("x", "window")).alias("asked"))) if still.count() <= ASKED else still.groupBy("fp").agg(F.collect_set(F.struct("x", "window")).alias("asked"))
+    matches = contexts.join(asked, "fp").select("ctx", "ahead", "back", "asked").mapInArrow(_matches, "ctx binary, window binary")
+    again = matches.groupBy("window").agg(F.count_distinct("ctx").alias("n")).where("n > 1")
+    proven = still.join(again, "window").select("ctx", F.col("x").alias("lo"), F.col("x").alias("hi"))
     proven = proven.unionByName(settled.select("ctx", F.explode("proven").alias("p")).select("ctx", "p.lo", "p.hi"))
     proven = proven.groupBy("ctx").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
 
@@ -423,10 +445,12 @@ def repeated_spans(docs: DataFrame, work: Work) -> DataFrame:
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row."""
-    work = Work(docs.sparkSession)
-    spans = repeated_spans(docs, work).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    d = with_key(docs).withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int"))
-    d = d.join(spans, ["tkey", "salt"], "left").select("doc_id", "text", "spans")
+    spans = repeated_spans(docs, Work(docs.sparkSession))
+    d = fixed_filter(spans, "tkey")(with_key(docs), "maybe").withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int"))
+    salted = spans.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    some = d.where("maybe").join(salted, ["tkey", "salt"], "left").select("doc_id", "text", "spans")
+    # texts that surely lose nothing aren't moved
+    d = some.unionByName(d.where("not maybe").select("doc_id", "text", F.lit(None).cast("array<struct<s:bigint,e:bigint>>").alias("spans")))
     return d.mapInArrow(_result_rows, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
