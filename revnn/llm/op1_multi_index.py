@@ -132,7 +132,7 @@ def search(vectors: DataFrame, is_query: Column, n: int = NEAREST, share: float
     spark = vectors.sparkSession
     empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     valid = taking_part(vectors)
-    drawn = valid.select("v", "length", F.col("k1").alias("draw")).dropDuplicates(["draw"]).orderBy("draw").limit(SAMPLE).collect()
+    drawn = cut(valid.select("v", "length", F.col("k1").alias("draw")).dropDuplicates(["draw"]).orderBy("draw").limit(SAMPLE)).collect()
     if not drawn:
         return empty
     dims = Counter(r.length for r in drawn).most_common(1)[0][0]
