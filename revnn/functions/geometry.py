@@ -60,13 +60,13 @@ def hyperbola_side(px, py, ax, ay, bx, by, difference) -> Column:
     return F.signum(dist(px, py, ax, ay) - dist(px, py, bx, by) - col(difference)).cast("int")
 
 
-def arcs(dx, dy, s: int, sectors: int = 6) -> tuple[Column, Column]:
-    """Lower and upper arc of a pruner at (dx, dy) from the query, in sector s: where its bisector meets the sector.
+def arcs(dx, dy, s, sectors: int = 6) -> tuple[Column, Column]:
+    """Lower and upper arc of a pruner at (dx, dy) from the query, in sector s (a number or a column): where its bisector meets the sector.
 
     Points of the sector beyond the upper arc are surely nearer to the pruner, points within the lower arc surely not."""
     width = 2 * pi / sectors
     d = F.sqrt(col(dx) * col(dx) + col(dy) * col(dy))
-    angle = F.atan2(col(dy), col(dx)) - s * width
+    angle = F.atan2(col(dy), col(dx)) - col(s) * width
     turn = F.pmod(angle, F.lit(2 * pi))
     to = lambda edge: F.least(F.abs(turn - edge), 2 * pi - F.abs(turn - edge))
     far = F.greatest(to(0.0), to(width))

@@ -38,8 +38,9 @@ def arc_scan(p: DataFrame, q: DataFrame, sectors: int = 6) -> tuple[DataFrame, D
         near = grid.within(p, q.withColumn("_r", F.lit(radius)), "_r", radius, left, box).where(OTHER)
         dx, dy = F.col("x") - F.col("qx"), F.col("y") - F.col("qy")
         near = near.withColumn("own", sector_any(dx, dy, sectors)).where("own >= 0")
-        each = F.array(*(F.struct(F.lit(s).alias("sector"), lo.alias("lower"), up.alias("upper")) for s in range(sectors) for lo, up in [arcs(dx, dy, s, sectors)]))
-        arc = cut(near.select("qid", "k", "id", "x", "y", "d2", "own", F.explode(each).alias("e")).select("qid", "k", "id", "x", "y", "d2", "own", "e.*").where("lower < double('Infinity') OR own = sector"))
+        arc = near.withColumn("sector", F.explode(F.sequence(F.lit(0), F.lit(sectors - 1))))
+        lower, upper = arcs(dx, dy, "sector", sectors)
+        arc = cut(arc.withColumns({"lower": lower, "upper": upper}).select("qid", "k", "id", "x", "y", "d2", "own", "sector", "lower", "upper").where("lower < double('Infinity') OR own = sector"))
         w = Window.partitionBy("qid", "sector").orderBy("upper", "id")
         kth = arc.withColumn("n", F.row_number().over(w)).where(F.col("n") == F.col("k") + 1).select("qid", "sector", F.col("upper").alias("bound"))
         every = q.withColumn("sector", F.explode(F.sequence(F.lit(0), F.lit(sectors - 1)))).join(kth, ["qid", "sector"], "left").withColumn("bound", F.coalesce("bound", F.lit(float("inf"))))
