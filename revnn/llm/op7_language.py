@@ -6,7 +6,7 @@ it wasn't fitted on; the nearest codeword wins. A small margin to the next codew
 
 Classifiers are fitted on the driver from a bounded sample (``SAMPLE_ROWS`` rows of smallest hashed id, texts of the
 sample cut to ``SAMPLE_CHARS`` characters; whole texts are always predicted). Prediction is one pass over the texts
-with numpy inside Arrow batches, without a shuffle; long texts go through in slices.
+with numpy inside Arrow batches (only the text goes in, only the answer comes out), without a shuffle; long texts go through in slices.
 
 Defined cases: null text and text without a letter are ``und`` with score 0; rows without a language or a doc_id teach
 nothing; with no labelled rows at all every text is ``und``; a single language is always predicted; repeated rows give
@@ -19,10 +19,9 @@ import re
 from collections.abc import Iterator
 
 import numpy as np
-import pyarrow as pa
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import BooleanType, DoubleType, StringType, StructField, StructType
 
 from revnn.llm.common import table
 
@@ -99,14 +98,15 @@ def fit(texts: list[str], langs: list[str], steps: int = 120, rate: float = 20.0
     if not names:
         return None
     code = codewords(len(names))
-    y = code[[names.index(x) for x in langs]].astype(np.float32)
-    x = np.stack([row_of(trigrams(t)) for t in texts])
-    aside = np.arange(len(x)) % 5 == 4
-    if (~aside).sum() == 0 or len(x) < 10:
-        aside[:] = False
-    xs, ys = x[~aside], y[~aside]
+    # every fifth row first: both parts are views of one matrix
+    order = sorted(range(len(texts)), key=lambda i: i % 5 != 4)
+    n = sum(i % 5 == 4 for i in order) if len(texts) >= 10 else 0
+    x, y = np.empty((len(texts), BUCKETS), np.float32), code[[names.index(langs[i]) for i in order]].astype(np.float32)
+    for row, i in enumerate(order):
+        x[row] = row_of(trigrams(texts[i]))
+    xs, ys = x[n:], y[n:]
     share = np.array([langs.count(n) for n in names], np.float64)
-    rare = (1 / share / len(names))[[names.index(v) for v, a in zip(langs, aside, strict=True) if not a]].astype(np.float32)[:, None]
+    rare = (1 / share / len(names))[[names.index(langs[i]) for i in order[n:]]].astype(np.float32)[:, None]
     rare /= rare.sum()
     w, bias = np.zeros((code.shape[1], BUCKETS), np.float32), np.zeros(code.shape[1], np.float32)
     v, c = w.copy(), bias.copy()
@@ -115,7 +115,7 @@ def fit(texts: list[str], langs: list[str], steps: int = 120, rate: float = 20.0
         v = 0.9 * v - rate * (g.T @ xs + 1e-5 * w)
         c = 0.9 * c - rate * g.sum(axis=0)
         w, bias = w + v, bias + c
-    right = ((x[aside] @ w.T + bias) * y[aside] > 0).mean(axis=0) if aside.any() else np.ones(code.shape[1])
+    right = ((x[:n] @ w.T + bias) * y[:n] > 0).mean(axis=0) if n else np.ones(code.shape[1])
     return Model(names, code, w, bias, np.maximum(right - 0.5, 0.01))
 
 
@@ -139,37 +139,26 @@ def held_out():
 
 def identify(docs: DataFrame, model: Model | None) -> DataFrame:
     """doc_id, held_out, lang_pred, score, ambiguous for every row; further columns of `docs` are kept."""
-    kept = [f for f in docs.schema.fields if f.name not in ("held_out", "lang_pred", "score", "ambiguous", "doc_id")]
-    session = docs.sparkSession.sparkContext
-    shared = session.broadcast(model)
+    shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    @F.pandas_udf("lang string, score double, ambiguous boolean")
+    def tell(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         m = shared.value
-        for batch in batches:
-            texts = batch.column(batch.schema.get_field_index("text"))
-            langs, scores, doubts = [], [], []
-            for first in range(0, len(texts), 512):
-                part = texts.slice(first, 512)
-                some, rows = [], []
-                for i, t in enumerate(part):
-                    t = t.as_py()
-                    if t and m and LETTER.search(t):
-                        some.append(i)
-                        rows.append(row_of(trigrams(t)))
-                lang, score, doubt = ["und"] * len(part), [0.0] * len(part), [False] * len(part)
-                if some:
+        for part in parts:
+            out = []
+            for t in part:
+                if t and m and LETTER.search(t):
                     # a row at a time: equal texts give equal sums, whatever stands beside them
-                    for i, x in zip(some, rows, strict=True):
-                        k, p, gap = m.predict(x[None])
-                        lang[i], score[i], doubt[i] = m.langs[k[0]], float(p[0]), bool(gap[0] < AMBIGUOUS)
-                langs, scores, doubts = langs + lang, scores + score, doubts + doubt
-            names = ["doc_id", *(f.name for f in kept), "held_out", "lang_pred", "score", "ambiguous"]
-            got = [batch.column(batch.schema.get_field_index(n)) for n in names[: 2 + len(kept)]]
-            yield pa.RecordBatch.from_arrays([*got, pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(doubts, pa.bool_())], names=names)
-
-    d = docs.select("doc_id", *(F.col(f"`{f.name}`") for f in kept)).withColumn("held_out", held_out())
-    schema = StructType([*d.schema.fields, StructField("lang_pred", StringType()), StructField("score", DoubleType()), StructField("ambiguous", BooleanType())])
-    return d.mapInArrow(run, schema)
+                    k, p, gap = m.predict(row_of(trigrams(t))[None])
+                    out.append((m.langs[k[0]], float(p[0]), bool(gap[0] < AMBIGUOUS)))
+                else:
+                    out.append(("und", 0.0, False))
+            yield pd.DataFrame(out, columns=["lang", "score", "ambiguous"])
+
+    # only the text goes to Python and only the answer comes back; not deterministic, so that it runs once for a row
+    kept = [F.col(f"`{c}`") for c in docs.columns if c not in ("held_out", "lang_pred", "score", "ambiguous")]
+    d = docs.select(*kept, held_out().alias("held_out"), tell.asNondeterministic()("text").alias("_told"))
+    return d.select(*kept, "held_out", F.col("_told.lang").alias("lang_pred"), F.col("_told.score").alias("score"), F.col("_told.ambiguous").alias("ambiguous"))
 
 
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
