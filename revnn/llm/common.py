@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -39,6 +40,18 @@ def ascii_lower(c):
     return F.translate(c, UPPER, LOWER)
 
 
+@contextmanager
+def batches_of(spark: SparkSession, rows: int):
+    """Arrow batches of at most `rows` rows for what runs inside: rows that hold texts are large."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def small(df: DataFrame, limit: int = 100_000) -> DataFrame:
     """`df`, marked for broadcast only if it is shown to have at most `limit` rows; `df` should be cut before."""
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from revnn.llm.common import cut, table
+from revnn.llm.common import batches_of, cut, table
 
 T, BAND = 128, 4
 BANDS = T // BAND
@@ -43,7 +43,8 @@ MOST_APART = 50
 #: Classes of a bucket's commonest label that others meet.
 DRAWS = 3
 WORDS_IN_SHINGLE, PERCENT = 2, 80
-SLICE = 1 << 21
+#: Bytes of texts that are hashed at once, and rows of an Arrow batch (two texts each).
+SLICE, BATCH = 1 << 19, 500
 U = np.uint64
 BASE = 0x9E3779B97F4A7C15 | 1
 SKETCHES = "doc_id long, th long, n long, gid binary, bands array<long>, " + ", ".join([f"s{i} long" for i in range(8)] + [f"p{i} long" for i in range(16)])
@@ -271,8 +272,9 @@ def near_duplicates(docs: DataFrame, k: int = WORDS_IN_SHINGLE, percent: int = P
     """doc_id, th, n_shingles, component_id, kept, label for every row of `docs` (doc_id, text).
 
     th is the text's hash, label names the component (null for empty sets)."""
-    rows = cut(with_text_hash(docs).mapInArrow(_sketch_rows(k), SKETCHES))
-    found = components(docs, rows, k, percent)
+    with batches_of(docs.sparkSession, BATCH):
+        rows = cut(with_text_hash(docs).mapInArrow(_sketch_rows(k), SKETCHES))
+        found = components(docs, rows, k, percent)
     # class -> smallest doc_id of its component
     classes = rows.where("gid is not null").groupBy("gid").agg(F.min("doc_id").alias("least"))
     named = classes.join(found, "gid", "left").withColumn("label", F.coalesce("label", "gid"))
