@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql.functions import pandas_udf
 
 FUNCTIONS = {
     "revnn_dist(ax DOUBLE, ay DOUBLE, bx DOUBLE, by DOUBLE) RETURNS DOUBLE": "sqrt((ax - bx) * (ax - bx) + (ay - by) * (ay - by))",
@@ -22,9 +24,6 @@ FUNCTIONS = {
 
 def register(spark: SparkSession) -> None:
     """Temporary SQL functions revnn_*, the grouped aggregate revnn_kth and the scalar revnn_ring_area."""
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
     for head, body in FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
 

@@ -2,12 +2,11 @@
 
 A point's cell is the data box clipped by bisectors with its neighbours from near to far; once the next point is farther
 than twice the farthest vertex, nothing can change. A cell is certified if that happened before the halo ended; the
-others get a halo twice as wide. Near-equal locations must be merged before (sources.distinct_points)."""
+others are built again on cells twice as wide. Near-equal locations must be merged before (sources.distinct_points)."""
 
 from __future__ import annotations
 
 from functools import reduce
-from math import floor
 
 import numpy as np
 import pandas as pd
@@ -64,18 +63,22 @@ def clip(own: np.ndarray, others: np.ndarray, box, reach: float = np.inf) -> tup
 
 
 def box_for(p: DataFrame):
-    n, *b = grid.box_of(p)
-    return n, tuple(b)
+    """n and the box that cells are clipped to: the data's own, widened where it is flat."""
+    n, x0, y0, x1, y1 = grid.box_of(p)
+    w, h = x1 - x0, y1 - y0
+    wide = max(w, h, 1e-9)
+    px, py = (wide / 2 if v < wide * 1e-9 else 0.0 for v in (w, h))
+    return n, (x0 - px, y0 - py, x1 + px, y1 + py)
 
 
-def _local(box, side: float, width: int):
+def _local(box, side: float):
     def build(part: pd.DataFrame) -> pd.DataFrame:
         xy, ids = part[["x", "y"]].to_numpy(), part["id"].to_numpy()
         home = part["home"].to_numpy()
         cx, cy = int(part["cx"].iloc[0]), int(part["cy"].iloc[0])
         out = []
-        lo = ((cx - width) * side, (cy - width) * side)
-        hi = ((cx + width + 1) * side, (cy + width + 1) * side)
+        lo = ((cx - 1) * side, (cy - 1) * side)
+        hi = ((cx + 2) * side, (cy + 2) * side)
         for i in np.flatnonzero(home):
             own = xy[i]
             # surely present: up to the nearest side of the halo that lies within the data box
@@ -91,23 +94,25 @@ def cells(p: DataFrame, per_cell: int = 60) -> DataFrame:
     """(id, x, y, ring, nbrs, certified) for every point of a set without equal locations."""
     n, box = box_for(p)
     span = max(box[2] - box[0], box[3] - box[1], 1e-9)
-    side = max(grid.first_radius((n, *box), per_cell / 1.0), span * 1e-7)
-    left, done, width = p.select("id", F.lit(True).alias("home")), [], 1
+    side = max(grid.first_radius((n, *box), per_cell), span * 1e-7)
+    left, done = p.select(F.col("id").alias("own_id")), []
     while True:
+        # a cell reads itself and the eight around it; for what that doesn't certify, cells double
         cx, cy = grid.cell("x", "y", side)
-        here = p.withColumns({"cx": cx, "cy": cy})
-        whole = side * width >= span
-        near = lambda c: F.explode(F.sequence(F.col(c) - width, F.col(c) + width))
-        halo = here.withColumn("hx", F.col("cx")).withColumn("hy", F.col("cy")).withColumn("cx", near("hx")).withColumn("cy", near("hy"))
-        own = left.select(F.col("id").alias("own_id"))
-        halo = halo.join(own, (F.col("id") == F.col("own_id")) & (F.col("cx") == F.col("hx")) & (F.col("cy") == F.col("hy")), "left").withColumn("home", F.col("own_id").isNotNull()).select("id", "x", "y", "cx", "cy", "home")
-        wanted = halo.where("home").select("cx", "cy").distinct()
-        built = cut(halo.join(wanted, ["cx", "cy"], "left_semi").groupBy("cx", "cy").applyInPandas(_local(box, side, width), CELLS))
-        done.append(built.where("certified") if not whole else built.withColumn("certified", F.lit(True)))
-        rest = built.where("NOT certified").select("id")
-        if whole or rest.isEmpty():
+        here = p.withColumns({"hx": cx, "hy": cy})
+        whole = side >= span
+        near = lambda c: F.explode(F.sequence(F.col(c) - 1, F.col(c) + 1))
+        here = here.join(left, F.col("id") == F.col("own_id"), "left").withColumn("open", F.col("own_id").isNotNull()).drop("own_id")
+        wanted = here.where("open").select(F.col("hx").alias("wx"), F.col("hy").alias("wy")).distinct()
+        halo = here.withColumn("cx", near("hx")).withColumn("cy", near("hy"))
+        halo = halo.join(wanted, (F.col("cx") == F.col("wx")) & (F.col("cy") == F.col("wy")), "left_semi")
+        home = F.col("open") & (F.col("cx") == F.col("hx")) & (F.col("cy") == F.col("hy"))
+        built = cut(halo.select("id", "x", "y", "cx", "cy", home.alias("home")).groupBy("cx", "cy").applyInPandas(_local(box, side), CELLS))
+        done.append(built.withColumn("certified", F.lit(True)) if whole else built.where("certified"))
+        left = cut(built.where("NOT certified").select(F.col("id").alias("own_id")))
+        if whole or left.isEmpty():
             return reduce(DataFrame.unionByName, done)
-        left, width = cut(rest), width * 2
+        side *= 2
 
 
 def neighbors(p: DataFrame) -> DataFrame:
@@ -209,7 +214,3 @@ def insert_query(index: DataFrame, q: DataFrame, reach: int = 3) -> DataFrame:
 def ring_area(points: list) -> float:
     x, y = [p[0] for p in points], [p[1] for p in points]
     return abs(sum(x[i - 1] * y[i] - x[i] * y[i - 1] for i in range(len(x)))) / 2
-
-
-def cell_of(v: float, side: float) -> int:
-    return floor(v / side)

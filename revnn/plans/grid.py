@@ -27,7 +27,8 @@ def first_radius(box, expected: float) -> float:
     """Radius within which a uniform set of this box would hold `expected` points."""
     n, x0, y0, x1, y1 = box
     w, h = max(x1 - x0, 1e-9), max(y1 - y0, 1e-9)
-    return max(sqrt(w * h * expected / max(n, 1) / 3.14159), max(w, h) * 1e-9)
+    # on a (nearly) flat box the points lie on a line
+    return max(sqrt(w * h * expected / max(n, 1) / 3.14159), max(w, h) * min(1.0, expected / max(n, 1)) / 2)
 
 
 def cell(x, y, side) -> tuple[Column, Column]:
