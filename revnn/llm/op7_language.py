@@ -4,29 +4,34 @@ Each language has a codeword; one binary classifier for each bit reads hashed by
 bit. A language's loss is the sum of its bits' logistic losses, weighted by how well each classifier did on rows that
 it wasn't fitted on; the nearest codeword wins. A small margin to the next codeword flags the text as ambiguous.
 
-Classifiers are fitted on the driver from a bounded sample (``SAMPLE_ROWS`` rows of smallest hashed id, texts of the
-sample cut to ``SAMPLE_CHARS`` characters; whole texts are always predicted). Prediction is one pass over the texts
+Classifiers are fitted on the driver from a bounded sample of ``SAMPLE_ROWS`` different rows, shared evenly over the
+languages: rows of smallest hash within each language, what a rare one leaves over goes to the others, and every
+language has one row at least. Trigrams of the sample's whole texts are counted on the executors; only rows of BUCKETS
+counts reach the driver. Prediction is one pass over the whole texts
 with numpy inside Arrow batches (only the text goes in, only the answer comes out), without a shuffle; long texts go through in slices.
 
-Defined cases: null text and text without a letter are ``und`` with score 0; rows without a language or a doc_id teach
-nothing; with no labelled rows at all every text is ``und``; a single language is always predicted; repeated rows give
+Defined cases: null text and text without a letter are ``und`` with score 0; rows without a language, a doc_id or
+a letter teach nothing and equal rows teach once; with no labelled rows at all every text is ``und``; a single language is always predicted; repeated rows give
 repeated results; an empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
 
 import re
+import zlib
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from revnn.llm.common import table
 
-#: Rows of the sample, at most, and characters of each that teach.
-SAMPLE_ROWS, SAMPLE_CHARS = 4000, 2000
+#: Rows of the sample, at most (or one for each language, where there are more of them).
+SAMPLE_ROWS = 4000
 BUCKETS = 1 << 13
 SLICE = 1 << 20
 AMBIGUOUS = 0.1
@@ -92,21 +97,16 @@ class Model:
         return p.argmax(axis=1), order[:, -1], margin
 
 
-def fit(texts: list[str], langs: list[str], steps: int = 120, rate: float = 20.0) -> Model | None:
-    """Logistic classifiers by accelerated gradient steps; a fifth of the rows weighs the bits."""
+def fit(x: np.ndarray, langs: list[str], n: int, steps: int = 120, rate: float = 20.0) -> Model:
+    """Logistic classifiers by accelerated gradient steps on all but the first `n` rows, which weigh the bits."""
     names = sorted(set(langs))
-    if not names:
-        return None
     code = codewords(len(names))
-    # every fifth row first: both parts are views of one matrix
-    order = sorted(range(len(texts)), key=lambda i: i % 5 != 4)
-    n = sum(i % 5 == 4 for i in order) if len(texts) >= 10 else 0
-    x, y = np.empty((len(texts), BUCKETS), np.float32), code[[names.index(langs[i]) for i in order]].astype(np.float32)
-    for row, i in enumerate(order):
-        x[row] = row_of(trigrams(texts[i]))
+    at = {name: i for i, name in enumerate(names)}
+    k = np.array([at[name] for name in langs])
+    y = code[k].astype(np.float32)
     xs, ys = x[n:], y[n:]
-    share = np.array([langs.count(n) for n in names], np.float64)
-    rare = (1 / share / len(names))[[names.index(langs[i]) for i in order[n:]]].astype(np.float32)[:, None]
+    share = np.bincount(k[n:], minlength=len(names)).astype(np.float64)
+    rare = (1 / share / len(names))[k[n:]].astype(np.float32)[:, None]
     rare /= rare.sum()
     w, bias = np.zeros((code.shape[1], BUCKETS), np.float32), np.zeros(code.shape[1], np.float32)
     v, c = w.copy(), bias.copy()
@@ -119,18 +119,50 @@ def fit(texts: list[str], langs: list[str], steps: int = 120, rate: float = 20.0
     return Model(names, code, w, bias, np.maximum(right - 0.5, 0.01))
 
 
+def level_of(sizes: list[int], rows: int) -> int:
+    """The most rows of each language such that all together are at most `rows`; at least 1."""
+    left, many = rows, len(sizes)
+    for size in sorted(sizes):
+        if size * many > left:
+            return max(left // many, 1)
+        left, many = left - size, many - 1
+    return max(sizes)
+
+
+def _count_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        packed = [zlib.compress(trigrams(t.as_py()).astype("<u4").tobytes(), 1) for t in batch.column(2)]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(packed, pa.binary())], names=["lang", "draw", "counts"])
+
+
+def up_to(rows: DataFrame, last: dict[str, int]) -> DataFrame:
+    """Rows whose draw is at most that of their language."""
+    bounds = rows.sparkSession.createDataFrame(list(last.items()), "lang string, last long")
+    return rows.join(F.broadcast(bounds), "lang").where(F.col("draw") <= F.col("last")).drop("last")
+
+
 def learn(docs: DataFrame, rows: int = SAMPLE_ROWS) -> Model | None:
-    """Fits on rows that aren't held out: those of smallest hashed id, at most `rows`."""
-    known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
-    # equal draws are equal rows, so a limit among them changes nothing
-    known = known.select("text", "lang", F.xxhash64(F.lit(11), "doc_id", "lang", "text").alias("draw"))
-    last = known.select("draw").orderBy("draw").limit(rows).agg(F.max("draw")).first()[0]
-    if last is None:
+    """Fits on rows that aren't held out: in each language those of smallest hash, at most `rows` in all."""
+    known = docs.where(F.col("lang").isNotNull() & F.rlike("text", F.lit(r"\p{L}")) & F.col("doc_id").isNotNull() & ~held_out())
+    known = known.select("lang", F.xxhash64(F.lit(11), "doc_id", "lang", "text").alias("draw"), "text")
+    sizes = {r.lang: r.n for r in known.groupBy("lang").agg(F.approx_count_distinct("draw").alias("n")).collect()}
+    if not sizes:
         return None
-    chosen = known.where(F.col("draw") <= last).select(F.substring("text", 1, SAMPLE_CHARS).alias("text"), "lang").limit(rows)
-    got = sorted((r.text, r.lang) for r in chosen.collect())
-    got = [(t, n) for t, n in got if LETTER.search(t)]
-    return fit([t for t, _ in got], [n for _, n in got])
+    level = level_of(list(sizes.values()), rows)
+    # draws spread evenly over all longs: twice the rows that are needed and some more come to the driver, as numbers
+    wide = {lang: min(-(1 << 63) + (1 << 64) * (2 * level + 20) // n, (1 << 63) - 1) for lang, n in sizes.items()}
+    draws = defaultdict(list)
+    for r in up_to(known.select("lang", "draw"), wide).distinct().collect():
+        draws[r.lang].append(r.draw)
+    chosen = {lang: sorted(found)[:level] for lang, found in sorted(draws.items())}
+    # every fifth row of a language first: both parts are views of one matrix
+    order = sorted(((lang, d, i % 5 != 4) for lang, found in chosen.items() for i, d in enumerate(found)), key=lambda r: r[2])
+    at = {(lang, d): i for i, (lang, d, _) in enumerate(order)}
+    x = np.zeros((len(order), BUCKETS), np.float32)
+    texts = up_to(known, {lang: found[-1] for lang, found in chosen.items()}).dropDuplicates(["lang", "draw"])
+    for r in texts.select("lang", "draw", "text").mapInArrow(_count_rows, "lang string, draw long, counts binary").collect():
+        x[at[r.lang, r.draw]] = row_of(np.frombuffer(zlib.decompress(r.counts), "<u4"))
+    return fit(x, [lang for lang, *_ in order], sum(not late for *_, late in order))
 
 
 def held_out():

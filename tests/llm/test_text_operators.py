@@ -203,6 +203,29 @@ def test_language_held_out_accuracy(spark):
     assert learn(d.where("doc_id < 0")) is None
 
 
+def test_language_learns_from_whole_texts_and_rare_languages(spark):
+    from revnn.llm.op7_language import identify, learn
+
+    rnd = random.Random(4)
+    say = lambda letters, n: " ".join("".join(rnd.choice(letters) for _ in range(5)) for _ in range(n))
+    front = say("xyz", 400)
+    rows = [(i, f"{front} {say('abcd' if i % 2 else 'efgh', 200)}", "one" if i % 2 else "two") for i in range(300)]
+    rows += [(1000 + i, say("mnop", 60), "rare") for i in range(9)]
+    d = spark.createDataFrame(rows + rows[:50], "doc_id long, text string, lang string")
+    new = spark.createDataFrame([(1, say("abcd", 40)), (2, say("efgh", 40)), (3, say("mnop", 40))], "doc_id long, text string")
+    for n in (4000, 60):
+        got = {r.doc_id: r.lang_pred for r in identify(new, learn(d, n)).collect()}
+        assert got == {1: "one", 2: "two", 3: "rare"}
+
+
+def test_language_sample_is_shared():
+    from revnn.llm.op7_language import level_of
+
+    assert level_of([5, 1000, 1000], 105) == 50
+    assert level_of([5, 6, 7], 105) == 7
+    assert level_of([10] * 30, 20) == 1
+
+
 def test_codewords_are_apart():
     from revnn.llm.op7_language import codewords
 
