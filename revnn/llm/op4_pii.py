@@ -10,11 +10,18 @@ CASE expressions, score each candidate by format (length, digits, groups, separa
 before it, neighbours); spans at or above the threshold are added. The trees are fitted on the driver from a bounded
 sample (``SAMPLE_DOCS`` documents of smallest hash that hold a digit or an @, ``SAMPLE_SPANS`` of their spans): base
 spans teach what such data look like, candidates that no base rule accepts are the contrast; what makes the base rules
-decisive (the plus sign, check digits, ranges) is no feature. A third of the sample is held out, and the threshold is
-the lowest score at which at least ``PRECISION`` of the held-out spans are base spans.
+decisive (the plus sign, check digits, ranges) is no feature. Candidates after a cue word of their kind teach as base
+spans do (the cue only labels: it is no feature of the trees, so a format counts by how often cues stand before it).
+Other candidates count as unlabelled, not as wrong: a third of
+the sample is held out, the mean probability that its labelled spans get tells which share of true spans is
+labelled, and the expected count of labelled spans at or above a score, over that share, is the expected count of true ones.
+The threshold is the lowest score at which at least ``PRECISION`` of the held-out spans are true by this estimate (it
+takes labelled and other true spans to look alike in the features). A kind with few held-out labelled spans takes the
+share of all kinds together.
 
 Defined cases: null text is empty: no spans; texts of any length are read whole; if the sample holds no example of
-either kind, nothing is added; repeated rows give repeated results; an empty table gives an empty result; further
+either kind, or fewer than 6 * ``LEAST_LEAF`` spans in all (too few for a leaf on each side and a held-out part), nothing
+is added; repeated rows give repeated results; an empty table gives an empty result; further
 columns are ignored.
 """
 
@@ -46,6 +53,8 @@ CUES = {"email": r"mail|contact|write to|reach", "ip": r"\bip\b|host|server|addr
 FILL = "￼"
 SAMPLE_DOCS, SAMPLE_SPANS, PRECISION = 3000, 30_000, 0.97
 TREES, DEPTH, RATE, LEAST_LEAF = 24, 3, 0.3, 10
+#: The feature that labels candidates.
+CUE = 11
 NONE = "array<struct<start:bigint,ord:int,end:bigint,hit:string,before:string,after:string>>"
 
 
@@ -183,9 +192,11 @@ def value(tree, x: np.ndarray) -> np.ndarray:
 
 def fit(spans: list[tuple[str, tuple, int]], precision: float = PRECISION) -> tuple[list, dict[str, float]] | None:
     """Trees over the spans of all kinds and each kind's calibrated threshold; None if one class is missing."""
-    if not 0 < sum(y for *_, y in spans) < len(spans) or len(spans) < 6 * LEAST_LEAF:
+    if not 0 < sum(b or a[CUE] > 0 for _, a, b in spans) < len(spans) or len(spans) < 6 * LEAST_LEAF:
         return None
-    kinds, x, y = np.array([k for k, *_ in spans]), np.array([a for _, a, _ in spans]), np.array([b for *_, b in spans], float)
+    kinds, x = np.array([k for k, *_ in spans]), np.array([a for _, a, _ in spans])
+    y = np.array([float(b or a[CUE] > 0) for _, a, b in spans])
+    x[:, CUE] = 0
     aside = np.arange(len(y)) % 3 == 2
     f, trees = np.zeros((~aside).sum()), []
     for _ in range(TREES):
@@ -194,13 +205,19 @@ def fit(spans: list[tuple[str, tuple, int]], precision: float = PRECISION) -> tu
         trees.append(tree)
         f += value(tree, x[~aside])
     least = {}
+    total = sum(value(t, x) for t in trees)
+    chance = 1 / (1 + np.exp(-total))
     for kind in KINDS:
         here = aside & (kinds == kind)
-        score = sum(value(t, x[here]) for t in trees) if here.any() else np.zeros(0)
+        known = aside & (y > 0)
+        if (known & here).sum() >= LEAST_LEAF:
+            known = known & here
+        score = total[here]
+        share = float(chance[known].mean()) if known.any() else 1.0
         order = np.argsort(-score, kind="stable")
-        right = np.cumsum(y[here][order]) / np.arange(1, len(order) + 1)
+        right = np.cumsum(chance[here][order]) / np.arange(1, len(order) + 1) / share
         last = np.append(score[order][1:] < score[order][:-1], True)[: len(order)]  # equal scores stand or fall together
-        good = np.flatnonzero((right >= precision) & last & (score[order] > 0))
+        good = np.flatnonzero((right >= precision) & last)
         if len(good):
             least[kind] = float(score[order][good[-1]])
     return trees, least

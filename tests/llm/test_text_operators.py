@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -189,6 +190,22 @@ def test_pii_candidates_learn_format(spark):
     assert got[2].s == "" and got[2].t == "part no 12.34 of 56/78"
 
 
+def test_pii_threshold_survives_many_true_candidates():
+    from revnn.llm import op4_pii as m
+
+    rnd = random.Random(5)
+    at = lambda n, d, cue: (float(n), float(d), d / n, 4.0, *(0.0,) * 7, cue, *(0.0,) * 5, 1.0)
+    like = lambda: at(rnd.choice([12, 13, 14]), 10, 1.0)
+    spans = [("phone", like(), 1) for _ in range(150)] + [("phone", like(), 0) for _ in range(450)]
+    spans += [("phone", at(rnd.choice([5, 6, 7]), 4, 0.0), 0) for _ in range(600)]
+    rnd.shuffle(spans)
+    trees, least = m.fit(spans)
+    score = lambda a: float(sum(m.value(t, np.array([a])) for t in trees)[0])
+    kept = [y for _, a, y in spans if score(a) >= least["phone"] and a[1] == 10.0]
+    assert sum(y == 0 for y in kept) >= 400
+    assert not any(score(a) >= least["phone"] for _, a, _ in spans if a[1] == 4.0)
+
+
 # --- language
 
 
