@@ -4,11 +4,11 @@ Samples are unsigned 8-bit PCM in RIFF/WAVE. A polyphase filter resamples by a r
 phase has its own short filter, so nothing is computed that is thrown away); overlapped Hann frames go through a real
 FFT and triangular mel bands; frame energies pass a two-threshold (hysteresis) segmenter that opens above the upper
 and closes below the lower threshold. A recording is worked through in blocks of a fixed number of frames with the
-overlap carried, so memory doesn't grow with its length, and a block's results depend on its own samples alone: equal
+overlap carried (only frames' bands and energies are kept, MELS + 2 numbers for 256 samples), and a block's results depend on its own samples alone: equal
 recordings give equal features wherever they are computed.
 
-Defined cases: null text is empty and becomes one block of 192 blanks; a recording shorter than a frame is padded to
-one frame; repeated rows give repeated results; an empty table gives an empty result; further columns are ignored.
+Defined cases: null text is empty and becomes one block of 192 blanks; the last frame is
+filled up with zeros, so every sample is in a frame; repeated rows give repeated results; an empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -83,7 +83,7 @@ def resample(x: np.ndarray, rate: int = RATE, target: int = TARGET) -> np.ndarra
     """All outputs that `x` (with zeros before it) determines."""
     up, down, phases = polyphase(rate, target)
     width = phases.shape[1]
-    n = len(x) * up // down
+    n = -(-len(x) * up // down)
     padded = np.concatenate([np.zeros(width - 1), x])
     if up == 1:
         rows = np.lib.stride_tricks.sliding_window_view(padded, width)[::down][:n]
@@ -107,8 +107,8 @@ def log_mel(samples: memoryview, rate: int = RATE) -> Iterator[tuple[np.ndarray,
     up, down, phases = polyphase(rate, TARGET)
     lead = phases.shape[1] - 1
     lead += -lead % down
-    n_out = len(samples) * up // down
-    n_frames = max(1, 1 + (n_out - FRAME) // HOP)
+    n_out = -(-len(samples) * up // down)
+    n_frames = 1 + max(0, -(-(n_out - FRAME) // HOP))
     window, bank = np.hanning(FRAME), mel_bank()
     raw = np.frombuffer(samples, np.uint8)
     for first in range(0, n_frames, BLOCK_FRAMES):
@@ -140,22 +140,33 @@ def analyse(media: bytes) -> tuple[np.ndarray, list[tuple[int, int]]]:
     return np.concatenate([m.astype(np.float32) for m, _ in blocks]), segments(energy, middle + OPEN_DB, middle + CLOSE_DB)
 
 
-def digest_of(media: bytes) -> str:
-    """Counts, mean and deviation of bands and active spans as a short text of rounded numbers.
+def tensors_of(media: bytes) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """Frames, (TENSOR_FRAMES, MELS) and (TENSOR_FRAMES,) active flags of each tensor, zero-padded."""
+    mel, spans = analyse(media)
+    active = np.zeros(len(mel), bool)
+    for a, b in spans:
+        active[a:b] = True
+    for first in range(0, len(mel), TENSOR_FRAMES):
+        n = min(TENSOR_FRAMES, len(mel) - first)
+        yield n, np.pad(mel[first : first + n], ((0, TENSOR_FRAMES - n), (0, 0))), np.pad(active[first : first + n], (0, TENSOR_FRAMES - n))
 
-    Sums are carried block by block; only frame energies (one number for 256 samples) are kept for the thresholds."""
-    rate, samples = wave_samples(media)
-    n, total, squares, energies = 0, np.zeros(MELS), np.zeros(MELS), []
-    for mel, energy in log_mel(samples, rate):
-        n, total, squares = n + len(mel), total + mel.sum(axis=0), squares + (mel**2).sum(axis=0)
-        energies.append(energy)
-    energy = np.concatenate(energies)
+
+def span_of(first: int, n: int) -> tuple[float, float]:
+    """Seconds from the begin of frame `first` to the end of the n-th frame from there."""
+    return first * HOP / TARGET, ((first + n - 1) * HOP + FRAME) / TARGET
+
+
+def digest_of(media: bytes) -> str:
+    """Counts, mean and deviation of bands, and active spans and end in time, of the tensors of :func:`tensors_of`."""
+    n, total, squares, active, runs, before = 0, np.zeros(MELS), np.zeros(MELS), 0, 0, False
+    for frames, mel, on in tensors_of(media):
+        mel, on = mel[:frames].astype(np.float64), on[:frames]
+        n, total, squares = n + frames, total + mel.sum(axis=0), squares + (mel**2).sum(axis=0)
+        active, runs, before = active + int(on.sum()), runs + int((on & ~np.append(before, on[:-1])).sum()), bool(on[-1])
     mean = total / n
     spread = np.sqrt(np.maximum(squares / n - mean**2, 0))
-    level = float(energy.mean())
-    active = segments(energy, level + OPEN_DB, level + CLOSE_DB)
     short = lambda x: ",".join(f"{v:.3f}" for v in np.round(x, 3) + 0.0)
-    return f"frames={n};segments={len(active)};active={sum(b - a for a, b in active)};mean={short(mean)};std={short(spread)}"
+    return f"frames={n};segments={runs};active={active};end={span_of(0, n)[1]:.3f};mean={short(mean)};std={short(spread)}"
 
 
 def _media_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,23 +183,16 @@ def _media_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _tensor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    step = HOP / TARGET
     for batch in batches:
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            mel, spans = analyse(wave_bytes(payload_of(text.as_py())[1]))
-            active = np.zeros(len(mel), bool)
-            for a, b in spans:
-                active[a:b] = True
-            n = -(-len(mel) // TENSOR_FRAMES)
-            pad = n * TENSOR_FRAMES - len(mel)
-            flat = np.pad(mel, ((0, pad), (0, 0))).reshape(-1)
-            tensor = pa.FixedSizeListArray.from_arrays(pa.array(flat), TENSOR_FRAMES * MELS)
-            first = np.arange(n) * TENSOR_FRAMES
+            n, mel, active = zip(*tensors_of(wave_bytes(payload_of(text.as_py())[1])), strict=True)
+            start, end = zip(*(span_of(i * TENSOR_FRAMES, k) for i, k in enumerate(n)), strict=True)
+            tensor = pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(mel).reshape(-1)), TENSOR_FRAMES * MELS)
             yield pa.RecordBatch.from_arrays(
                 [
-                    pa.array([doc_id] * n, pa.int64()), pa.array(np.arange(n)), pa.array(first * step), pa.array(np.minimum(first + TENSOR_FRAMES, len(mel)) * step + (FRAME - HOP) / TARGET),
-                    pa.array(np.minimum(TENSOR_FRAMES, len(mel) - first).astype(np.int32)), pa.array(np.full(n, MELS, np.int32)),
-                    tensor.cast(pa.list_(pa.float32())), pa.array(np.pad(active, (0, pad)).reshape(n, -1).tolist(), pa.list_(pa.bool_())),
+                    pa.array([doc_id] * len(n), pa.int64()), pa.array(np.arange(len(n))), pa.array(start, pa.float64()), pa.array(end, pa.float64()),
+                    pa.array(n, pa.int32()), pa.array([MELS] * len(n), pa.int32()),
+                    tensor.cast(pa.list_(pa.float32())), pa.array([a.tolist() for a in active], pa.list_(pa.bool_())),
                 ],
                 names=["doc_id", "tensor", "start_s", "end_s", "n_frames", "n_mels", "logmel", "active"],
             )

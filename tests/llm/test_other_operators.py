@@ -98,6 +98,21 @@ def test_audio_round_trip_and_tensors(spark, monkeypatch):
     assert np.array_equal(whole, m.analyse(media)[0])
 
 
+def test_audio_frames_reach_the_end():
+    from revnn.llm import op5_audio as m
+
+    for n in (190, 500, 576, 700, 960, 5000):
+        text = "word " * (n // 5)
+        a, b = (m.wave_bytes(m.payload_of(text + end)[1]) for end in ("aaaa", "~~~~"))
+        assert m.digest_of(a) != m.digest_of(b)
+    for n in (190, 500, 576, 700, 960, 5000):
+        a = m.wave_bytes(m.payload_of("word " * (n // 5))[1])
+        mel = m.analyse(a)[0]
+        frames = [k for k, *_ in m.tensors_of(a)]
+        assert sum(frames) == len(mel) and m.span_of(0, len(mel))[1] >= len(m.wave_samples(a)[1]) / m.RATE
+        assert m.digest_of(a).startswith(f"frames={len(mel)};")
+
+
 def test_hysteresis():
     from revnn.llm.op5_audio import segments
 
