@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
+import uuid
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
@@ -19,20 +21,65 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share, as the session names it; a temporary one only where none is set."""
+    """The folder that all executors share, as the session names it.
+
+    Only a local session (one process, as in tests) may leave it unset and gets a temporary one."""
     sc = spark.sparkContext
     named = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
     if not named:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         named = tempfile.mkdtemp(prefix="revnn-checkpoint-")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(named)
     return named
 
 
+@contextmanager
+def settings(spark: SparkSession, **values: str):
+    """Runtime settings (`__` for a dot) for what runs inside."""
+    before = {k: spark.conf.get(k, None) for k in (name.replace("__", ".") for name in values)}
+    for name, v in values.items():
+        spark.conf.set(name.replace("__", "."), v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+#: What is written is not read from shuffle files again, so these go when the write ends; skewed joins are split even
+#: where an aggregate by the same key follows and needs an exchange then.
+WRITING = {"spark__sql__classic__shuffleDependency__fileCleanup__enabled": "true", "spark__sql__adaptive__forceOptimizeSkewedJoin": "true"}
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Materialise reliably: later reads survive lost executors and repeat no work."""
     shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    with settings(df.sparkSession, **WRITING):
+        return df.select("*").checkpoint(eager=True)
+
+
+class Work:
+    """Tables of one run in the folder that executors share."""
+
+    def __init__(self, spark: SparkSession, name: str):
+        self.spark, self.folder, self.n, self.held = spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}", 0, []
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        self.n += 1
+        path = f"{self.folder}/{self.n}"
+        with settings(self.spark, **WRITING):
+            df.write.option("compression", "zstd").parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        self.held.append((out, path))
+        return out
+
+    def drop(self, *tables: DataFrame) -> None:
+        """Empties kept tables that no plan reads any more."""
+        for t, path in [x for x in self.held if any(x[0] is t for t in tables)]:
+            self.spark.createDataFrame([], t.schema).write.mode("overwrite").parquet(path)
+        self.held = [x for x in self.held if not any(x[0] is t for t in tables)]
 
 
 def ascii_lower(c):
@@ -40,16 +87,9 @@ def ascii_lower(c):
     return F.translate(c, UPPER, LOWER)
 
 
-@contextmanager
 def batches_of(spark: SparkSession, rows: int):
     """Arrow batches of at most `rows` rows for what runs inside: rows that hold texts are large."""
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(name)
-    spark.conf.set(name, str(rows))
-    try:
-        yield
-    finally:
-        spark.conf.set(name, before)
+    return settings(spark, spark__sql__execution__arrow__maxRecordsPerBatch=str(rows))
 
 
 def small(df: DataFrame, limit: int = 100_000) -> DataFrame:

@@ -25,7 +25,6 @@ from __future__ import annotations
 
 import hashlib
 import struct
-import uuid
 from bisect import bisect_left
 from collections.abc import Iterator
 
@@ -34,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from revnn.llm.common import fixed_filter, shared_dir, small, table
+from revnn.llm.common import Work, fixed_filter, small, table
 
 LENGTH, GRAM = 400, 64
 REACH = LENGTH - GRAM
@@ -379,21 +378,6 @@ def _result_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(out, (*[pa.int64()] * 4, pa.string()), strict=True)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
-class Work:
-    """Tables of one run in the folder that executors share."""
-
-    def __init__(self, spark: SparkSession):
-        self.spark, self.folder, self.n = spark, f"{shared_dir(spark)}/suffix-{uuid.uuid4().hex}", 0
-
-    def keep(self, df: DataFrame) -> DataFrame:
-        self.n += 1
-        path = f"{self.folder}/{self.n}"
-        df.write.option("compression", "zstd").parquet(path)
-        # shuffle files of what is written now go when their plans do
-        self.spark.sparkContext._jvm.System.gc()
-        return self.spark.read.schema(df.schema).parquet(path)
-
-
 def with_key(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text", F.substring(F.unhex(F.sha2(F.coalesce("text", F.lit("")), 256)), 1, 16).alias("tkey"))
 
@@ -445,7 +429,7 @@ def repeated_spans(docs: DataFrame, work: Work) -> DataFrame:
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row."""
-    spans = repeated_spans(docs, Work(docs.sparkSession))
+    spans = repeated_spans(docs, Work(docs.sparkSession, "suffix"))
     d = fixed_filter(spans, "tkey")(with_key(docs), "maybe").withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int"))
     salted = spans.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     some = d.where("maybe").join(salted, ["tkey", "salt"], "left").select("doc_id", "text", "spans")

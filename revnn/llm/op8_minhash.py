@@ -11,12 +11,13 @@ between classes are found without listing the pairs of a bucket:
 1. every bucket has a hub; a class is verified against the hub that it shares most buckets with;
 2. classes still apart from other hubs of their buckets are verified against these;
 3. classes apart from their bucket's commonest label are verified against a few classes drawn from it;
-4. what shares a bucket and is apart even then is compared pair by pair, inside the join condition: sizes and parities
-   of the sets (exact bounds), then sketches.
+4. what shares a bucket and is apart even then is compared pair by pair, inside the join condition.
 
-Classes that are connected already are never compared again. Verification computes both full sets of shingles and
-counts 100 * shared >= 80 * union. Components: links contracted to labels, smallest label spread with pointer jumps.
-All joins are by bucket key or class id, may be split where skewed, and no bucket is gathered into one task.
+A pair is verified only if sizes and parities of the sets allow a link (both are exact bounds, so no link is lost); no
+text moves before that test. Classes that are connected already are never compared again. Verification computes both
+full sets of shingles and counts 100 * shared >= 80 * union. Components: links contracted to labels, smallest label
+spread with pointer jumps. All joins are by bucket key or class id, may be split where skewed, and no bucket is
+gathered into one task. Tables that no later step reads are emptied at once, and so are shuffle files.
 
 Defined cases: null text or text without words has an empty set and is its own component; one word is a set of one;
 null doc_ids are kept (a component of null ids only has a null id; `kept` is false there unless null-safe equal);
@@ -34,12 +35,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from revnn.llm.common import batches_of, cut, table
+from revnn.llm.common import Work, batches_of, cut, fixed_filter, table
 
 T, BAND = 128, 4
 BANDS = T // BAND
-#: Of T coordinates (4 bits each), so many may differ in a pair that is verified: six deviations off for a link.
-MOST_APART = 50
 #: Classes of a bucket's commonest label that others meet.
 DRAWS = 3
 WORDS_IN_SHINGLE, PERCENT = 2, 80
@@ -47,7 +46,10 @@ WORDS_IN_SHINGLE, PERCENT = 2, 80
 SLICE, BATCH = 1 << 19, 500
 U = np.uint64
 BASE = 0x9E3779B97F4A7C15 | 1
-SKETCHES = "doc_id long, th long, n long, gid binary, bands array<long>, " + ", ".join([f"s{i} long" for i in range(8)] + [f"p{i} long" for i in range(16)])
+PARITY = [f"p{i}" for i in range(16)]
+SKETCHES = "doc_id long, th long, n long, gid binary, bands array<long>, " + ", ".join(f"{p} long" for p in PARITY)
+#: Copies of a class that one salt takes, at most about.
+SALTED = 10_000
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -165,12 +167,6 @@ def band_keys(c: np.ndarray) -> np.ndarray:
     return h.view(np.int64)
 
 
-def short_form(c: np.ndarray) -> np.ndarray:
-    """Four bits of each coordinate, in eight words."""
-    bits = mix(c) & U(15)
-    return (bits.reshape(8, 16) << (U(4) * np.arange(16, dtype=U))).sum(axis=1, dtype=U).view(np.int64)
-
-
 def parity(s: np.ndarray) -> np.ndarray:
     """1024 bits, each the parity of the set's elements that fall on it: sets differ in no fewer elements than bits."""
     return np.packbits(np.bincount((s >> U(20)).astype(np.int64) & 1023, minlength=1024) & 1).view(np.int64)
@@ -186,20 +182,19 @@ def _sketch_rows(k: int):
         for batch in batches:
             for first in range(0, batch.num_rows, 1024):
                 part = batch.slice(first, 1024)
-                gids, bands, shorts, n = [], [], [], []
+                gids, bands, bits, n = [], [], [], []
                 for s in sets_of(part.column(1).to_pylist(), k):
                     n.append(len(s))
                     if len(s):
-                        c = sketch(s)
                         gids.append(digest(s))
-                        bands.append(band_keys(c))
-                        shorts.append(np.concatenate([short_form(c), parity(s)]))
+                        bands.append(band_keys(sketch(s)))
+                        bits.append(parity(s))
                     else:
                         gids.append(None)
                         bands.append(None)
-                        shorts.append(np.zeros(24, np.int64))
+                        bits.append(np.zeros(len(PARITY), np.int64))
                 columns = [part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(gids, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
-                yield pa.RecordBatch.from_arrays([*columns, *(pa.array(x) for x in np.array(shorts, np.int64).reshape(-1, 24).T.copy())], names=names)
+                yield pa.RecordBatch.from_arrays([*columns, *(pa.array(x) for x in np.array(bits, np.int64).reshape(-1, len(PARITY)).T.copy())], names=names)
 
     return run
 
@@ -208,24 +203,11 @@ def with_text_hash(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text", F.xxhash64("text").alias("th"))
 
 
-def apart(a: str, b: str) -> Column:
-    """Number of coordinates that differ."""
-    total = F.lit(0)
-    for i in range(8):
-        x = F.col(f"{a}.s{i}").bitwiseXOR(F.col(f"{b}.s{i}"))
-        x = x.bitwiseOR(F.shiftrightunsigned(x, 1))
-        x = x.bitwiseOR(F.shiftrightunsigned(x, 2)).bitwiseAND(F.lit(0x1111111111111111))
-        total = total + F.bit_count(x)
-    return total
-
-
 def may_link(a: str, b: str, percent: int) -> Column:
-    """False for pairs that sizes or parities rule out (exact bounds), or whose sketches are too far apart."""
+    """False only for pairs that sizes or parities rule out (exact bounds)."""
     n, m = F.col(f"{a}.n"), F.col(f"{b}.n")
-    differ = F.lit(0)
-    for i in range(16):
-        differ = differ + F.bit_count(F.col(f"{a}.p{i}").bitwiseXOR(F.col(f"{b}.p{i}")))
-    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (differ * (100 + percent) <= (100 - percent) * (n + m)) & (apart(a, b) <= MOST_APART)
+    differ = sum((F.bit_count(F.col(f"{a}.{p}").bitwiseXOR(F.col(f"{b}.{p}"))) for p in PARITY), F.lit(0))
+    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (differ * (100 + percent) <= (100 - percent) * (n + m))
 
 
 def verify(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
@@ -235,8 +217,11 @@ def verify(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFram
         for batch in batches:
             for first in range(0, batch.num_rows, 256):
                 a, b, x, y = (c.to_pylist() for c in batch.slice(first, 256).columns)
+                # a hub meets many classes: its set is made once
+                hubs = dict(zip(b, y, strict=True))
+                hubs = dict(zip(hubs, sets_of(list(hubs.values()), k), strict=True))
                 keep = []
-                for i, (p, q) in enumerate(zip(sets_of(x, k), sets_of(y, k), strict=True)):
+                for i, (p, q) in enumerate(zip(sets_of(x, k), (hubs[i] for i in b), strict=True)):
                     shared = len(np.intersect1d(p, q, assume_unique=True))
                     if 100 * shared >= percent * (len(p) + len(q) - shared):
                         keep.append(i)
@@ -263,6 +248,8 @@ def contract(links: DataFrame) -> DataFrame:
 
 def relabel(labels: DataFrame, links: DataFrame) -> DataFrame:
     """labels (gid, label) after links (a, b) between class ids."""
+    if links.isEmpty():
+        return labels
     named = links.join(labels.select(F.col("gid").alias("a"), F.col("label").alias("la")), "a").join(labels.select(F.col("gid").alias("b"), F.col("label").alias("lb")), "b")
     moved = contract(named.select(F.col("la").alias("a"), F.col("lb").alias("b")))
     return cut(labels.join(moved, labels["label"] == moved["node"], "left").select("gid", F.coalesce(moved["label"], labels["label"]).alias("label")))
@@ -272,80 +259,90 @@ def near_duplicates(docs: DataFrame, k: int = WORDS_IN_SHINGLE, percent: int = P
     """doc_id, th, n_shingles, component_id, kept, label for every row of `docs` (doc_id, text).
 
     th is the text's hash, label names the component (null for empty sets)."""
+    work = Work(docs.sparkSession, "near-duplicates")
     with batches_of(docs.sparkSession, BATCH):
-        rows = cut(with_text_hash(docs).mapInArrow(_sketch_rows(k), SKETCHES))
-        found = components(docs, rows, k, percent)
-    # class -> smallest doc_id of its component
-    classes = rows.where("gid is not null").groupBy("gid").agg(F.min("doc_id").alias("least"))
-    named = classes.join(found, "gid", "left").withColumn("label", F.coalesce("label", "gid"))
+        rows = work.keep(with_text_hash(docs).mapInArrow(_sketch_rows(k), SKETCHES))
+        classes = work.keep(rows.where("gid is not null").groupBy("gid").agg(F.min(F.struct("doc_id", "th")).alias("one"), F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("copies"), *(F.first(c).alias(c) for c in ("bands", "n", *PARITY))))
+        rows = rows.select("doc_id", "th", "n", "gid")
+        found = components(docs, classes, k, percent, work)
     # only classes with links share a label; the others need no second look
+    named = classes.select("gid", "least", "copies").join(found, "gid", "left").withColumn("label", F.coalesce("label", "gid"))
     linked = named.groupBy("label").agg(F.min("least").alias("component"))
-    named = named.join(linked, "label").select("gid", "component", "label")
-    salted = named.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(15))))
-    d = rows.select("doc_id", "th", "n", "gid", F.pmod(F.xxhash64("doc_id", "th"), F.lit(16)).cast("int").alias("salt"))
+    named = work.keep(named.join(linked, "label").select("gid", "component", "label", F.ceil(F.col("copies") / SALTED).cast("int").alias("salts")))
+    work.drop(classes)
+    # a class of many copies has as many salts as its copies need; the broadcast holds only such classes
+    many = F.broadcast(named.where("salts > 1").select("gid", "salts")) if named.where("salts > 1").limit(SALTED + 1).count() <= SALTED else named.where("salts > 1").select("gid", "salts")
+    salted = named.select("gid", "component", "label", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
+    d = rows.join(many, "gid", "left").withColumn("salt", F.pmod(F.xxhash64("doc_id", "th"), F.coalesce("salts", F.lit(1))).cast("int"))
     d = d.join(salted, ["gid", "salt"], "left").withColumn("component_id", F.when(F.col("gid").isNull(), F.col("doc_id")).otherwise(F.col("component")))
     return d.select("doc_id", "th", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)).alias("kept"), "label")
 
 
-def components(docs: DataFrame, rows: DataFrame, k: int, percent: int) -> DataFrame:
+def components(docs: DataFrame, classes: DataFrame, k: int, percent: int, work: Work) -> DataFrame:
     """(gid, label) of every class that shares a bucket with another one."""
-    shorts = [f"s{i}" for i in range(8)] + [f"p{i}" for i in range(16)]
-    reps = rows.where("gid is not null").groupBy("gid").agg(F.min(F.struct("doc_id", "th")).alias("one"), F.first("bands").alias("bands"), F.first("n").alias("n"), *(F.first(s).alias(s) for s in shorts))
-    reps = cut(reps)
-    entries = reps.select("gid", F.posexplode("bands").alias("band", "key"))
-    size = entries.groupBy("band", "key").agg(F.count(F.lit(1)).alias("size"), F.max("gid").alias("hub")).where("size > 1")
-    entries = cut(entries.join(size, ["band", "key"]).select("band", "key", "gid", "hub"))
-
+    bucket = ["band", "key"]
+    entries = classes.select("gid", F.posexplode("bands").alias(*bucket))
+    size = entries.groupBy(*bucket).agg(F.count(F.lit(1)).alias("size"), F.max("gid").alias("hub")).where("size > 1").select(*bucket, "hub")
+    entries = work.keep(entries.join(size, bucket).select(*bucket, "gid", "hub"))
     own = cut(entries.select("gid").distinct())
-    wanted = reps.join(own, "gid", "left_semi").select("gid", "one.doc_id", "one.th")
-    source = with_text_hash(docs)
-    on = source["doc_id"].eqNullSafe(wanted["doc_id"]) & (source["th"] == wanted["th"])
-    # equal rows are equal texts: a class needs one of them
-    texts = cut(source.join(wanted, on).select("gid", "text").dropDuplicates(["gid"]))
+    texts = work.keep(texts_of(docs, classes.join(own, "gid", "left_semi").select("gid", "one.doc_id", "one.th")))
+
+    look = classes.select("gid", "n", "bands", *PARITY)
+    of = lambda side: look.select(F.col("gid").alias(side), F.struct("n", *PARITY).alias(f"{side}_s"))
+    possible = lambda pairs: pairs.join(of("a"), "a").join(of("b"), "b").where(may_link("a_s", "b_s", percent)).drop("a_s", "b_s")
 
     shared = entries.where("gid != hub").groupBy(F.col("gid").alias("a"), F.col("hub").alias("b")).agg(F.count(F.lit(1)).alias("bands"))
-    best = shared.withColumn("nth", F.row_number().over(Window.partitionBy("a").orderBy(F.col("bands").desc(), "b")))
+    best = possible(shared).withColumn("nth", F.row_number().over(Window.partitionBy("a").orderBy(F.col("bands").desc(), "b")))
     hubs = cut(best.select("a", "b", "nth"))
     links = cut(verify(hubs.where("nth = 1").select("a", "b"), texts, k, percent))
     # a hub is the largest id of its bucket, so these links are a forest; two steps up are near enough to a root here
     up = own.join(links, own["gid"] == links["a"], "left").select("gid", F.coalesce("b", "gid").alias("to"))
     root = up.select(F.col("gid").alias("via"), F.col("to").alias("root"))
     near = up.join(root, up["to"] == root["via"]).select("gid", "root")
-
-    look = reps.select("gid", "n", "bands", *shorts)
-    of = lambda side: look.select(F.col("gid").alias(side), F.struct("n", *shorts).alias(f"{side}_s"))
     known = lambda side: near.select(F.col("gid").alias(side), F.col("root").alias(f"{side}_root"))
     rest = hubs.where("nth > 1").join(known("a"), "a").join(known("b"), "b").where("a_root != b_root").select("a", "b")
-    close = rest.join(of("a"), "a").join(of("b"), "b").where(may_link("a_s", "b_s", percent)).select("a", "b")
-    links = cut(links.union(verify(close, texts, k, percent)))
+    links = cut(links.union(verify(rest, texts, k, percent)))
     labels = relabel(own.withColumn("label", F.col("gid")), links)
 
-    def still_mixed() -> DataFrame:
+    def still_mixed(seen: DataFrame) -> DataFrame:
         """Entries, with labels, of buckets that hold several."""
-        named = entries.select("band", "key", "gid").join(labels, "gid")
-        mixed = named.groupBy("band", "key").agg(F.min("label").alias("least"), F.max("label").alias("most")).where("least != most").select("band", "key")
-        return named.join(mixed, ["band", "key"], "left_semi")
+        named = seen.select(*bucket, "gid").join(labels, "gid")
+        mixed = named.groupBy(*bucket).agg(F.min("label").alias("least"), F.max("label").alias("most")).where("least != most").select(*bucket)
+        return work.keep(named.join(mixed, bucket, "left_semi"))
 
     # what is apart from its bucket's commonest label meets a few of that label's classes, drawn anew for each bucket
-    named = cut(still_mixed())
-    common = named.groupBy("band", "key", "label").agg(F.count(F.lit(1)).alias("n"), *(F.max_by("gid", F.xxhash64(F.lit(i), "gid", "band")).alias(f"h{i}") for i in range(DRAWS)))
-    common = common.groupBy("band", "key").agg(F.max(F.struct("n", "label", F.array(*(f"h{i}" for i in range(DRAWS))).alias("hubs"))).alias("top")).select("band", "key", "top.label", "top.hubs")
+    named = still_mixed(entries)
+    work.drop(entries)
+    common = named.groupBy(*bucket, "label").agg(F.count(F.lit(1)).alias("n"), *(F.max_by("gid", F.xxhash64(F.lit(i), "gid", "band")).alias(f"h{i}") for i in range(DRAWS)))
+    common = common.groupBy(*bucket).agg(F.max(F.struct("n", "label", F.array(*(f"h{i}" for i in range(DRAWS))).alias("hubs"))).alias("top")).select(*bucket, "top.label", "top.hubs")
     drawn = named.alias("x").join(common.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.label") != F.col("y.label")))
     drawn = drawn.select("x.gid", F.explode("y.hubs").alias("hub")).select(F.least("gid", "hub").alias("a"), F.greatest("gid", "hub").alias("b")).distinct()
-    drawn = drawn.join(hubs.select("a", "b"), ["a", "b"], "left_anti").join(of("a"), "a").join(of("b"), "b").where(may_link("a_s", "b_s", percent)).select("a", "b")
-    drawn = cut(drawn)
+    drawn = cut(possible(drawn.join(hubs.select("a", "b"), ["a", "b"], "left_anti")))
     labels = relabel(labels, cut(verify(drawn, texts, k, percent)))
 
-    open_ = still_mixed().join(look, "gid")
-    x, y = open_.alias("x"), open_.alias("y")
+    open_ = still_mixed(named)
+    work.drop(named)
+    x, y = open_.join(look, "gid").alias("x"), open_.join(look, "gid").alias("y")
     on = (F.col("x.band") == F.col("y.band")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.gid") < F.col("y.gid")) & (F.col("x.label") != F.col("y.label"))
     # a pair is made in the first band that it shares only
     before = lambda side: F.slice(f"{side}.bands", F.lit(1), F.col("x.band"))
     first = ~F.exists(F.zip_with(before("x"), before("y"), lambda p, q: p == q), lambda same: same)
     pairs = x.join(y, on & may_link("x", "y", percent) & first).select(F.col("x.gid").alias("a"), F.col("y.gid").alias("b"))
     done = hubs.select("a", "b").union(drawn)  # a < b: a hub is the largest of its bucket
-    links = cut(verify(pairs.join(done, ["a", "b"], "left_anti"), texts, k, percent))
-    return labels if links.isEmpty() else relabel(labels, links)
+    pairs = cut(pairs.join(done, ["a", "b"], "left_anti"))
+    work.drop(open_)
+    labels = relabel(labels, cut(verify(pairs, texts, k, percent)))
+    work.drop(texts)
+    return labels
+
+
+def texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """gid and text of the wanted (gid, doc_id, th)."""
+    name = lambda d: d.withColumn("_id", F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).drop("doc_id")
+    wanted = cut(name(wanted))
+    # equal rows are equal texts: each task passes on one of them
+    source = fixed_filter(wanted, "_id", "th")(name(with_text_hash(docs)), "needed").where("needed")
+    return source.groupBy("_id", "th").agg(F.first("text").alias("text")).join(wanted, ["_id", "th"]).select("gid", "text")
 
 
 def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
