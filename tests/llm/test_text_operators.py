@@ -111,6 +111,15 @@ def test_tokens_equal_the_library(spark, sf, codec, library):
         assert r.decoded_sha256 == hashlib.sha256(library.decode(e, skip_special_tokens=False).encode()).hexdigest()
 
 
+def test_every_kind_of_code_point(codec, library):
+    from revnn.llm import op3_bpe as m
+
+    odd = {c for r in m.UNKNOWN.split() for a, b in [(r.split("-") * 2)[:2]] for c in (int(a, 16), int(b, 16), int(b, 16) + 1)} | set(m.SMALL) | set(range(0, 0x110000, 61))
+    for cp in sorted(c for c in odd if not 0xD800 <= c < 0xE000 and c < 0x110000):
+        x = f"a{chr(cp)}b {chr(cp)}1!{chr(cp)}?"
+        assert library.encode(x, add_special_tokens=False).ids == list(codec.encode(x)), hex(cp)
+
+
 def test_stream_of_long_words(codec, library):
     rnd = random.Random(4)
     pieces = [t.removesuffix("</w>") for t in list(codec.merges.vocab)[500:] if t.isascii() and t.removesuffix("</w>").isalpha()]
