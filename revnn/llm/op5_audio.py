@@ -7,6 +7,9 @@ and closes below the lower threshold. A recording is worked through in blocks of
 overlap carried (only frames' bands and energies are kept, MELS + 2 numbers for 256 samples), and a block's results depend on its own samples alone: equal
 recordings give equal features wherever they are computed.
 
+Recordings are written as a table in the folder that executors share and read from there; so are their features, each
+recording's tensors with begin and end in seconds as an Arrow stream of the fixed-shape tensor type.
+
 Defined cases: null text is empty and becomes one block of 192 blanks; the last frame is
 filled up with zeros, so every sample is in a frame; repeated rows give repeated results; an empty table gives an empty result; further columns are ignored.
 """
@@ -24,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from revnn.llm.common import table
+from revnn.llm.common import Work, batches_of, table
 
 RATE = 16_000
 TARGET = 8_000
@@ -34,7 +37,10 @@ FRAME, HOP, MELS = 256, 128, 16
 TENSOR_FRAMES = 64
 BLOCK_FRAMES = 64 * TENSOR_FRAMES
 OPEN_DB, CLOSE_DB, LEAST_FRAMES = 3.0, -3.0, 3
+#: Rows of an Arrow batch of texts or recordings.
+BATCH = 1000
 RESULT = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+FEATURES = RESULT.replace("feature string", "tensors binary")
 TENSORS = "doc_id long, tensor long, start_s double, end_s double, n_frames int, n_mels int, logmel array<float>, active array<boolean>"
 
 
@@ -156,63 +162,113 @@ def span_of(first: int, n: int) -> tuple[float, float]:
     return first * HOP / TARGET, ((first + n - 1) * HOP + FRAME) / TARGET
 
 
-def digest_of(media: bytes) -> str:
-    """Counts, mean and deviation of bands, and active spans and end in time, of the tensors of :func:`tensors_of`."""
-    n, total, squares, active, runs, before = 0, np.zeros(MELS), np.zeros(MELS), 0, 0, False
-    for frames, mel, on in tensors_of(media):
-        mel, on = mel[:frames].astype(np.float64), on[:frames]
-        n, total, squares = n + frames, total + mel.sum(axis=0), squares + (mel**2).sum(axis=0)
+def as_stream(media: bytes) -> bytes:
+    """The tensors of a recording with their time spans, as an Arrow stream of fixed-shape tensors."""
+    n, mel, active = zip(*tensors_of(media), strict=True)
+    start, end = zip(*(span_of(i * TENSOR_FRAMES, k) for i, k in enumerate(n)), strict=True)
+    flat = pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(mel).reshape(-1)), TENSOR_FRAMES * MELS)
+    flags = pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(active)), TENSOR_FRAMES)
+    out = pa.BufferOutputStream()
+    with pa.ipc.new_stream(out, STREAM) as writer:
+        writer.write_batch(pa.RecordBatch.from_arrays([pa.array(start), pa.array(end), pa.array(n, pa.int32()), pa.ExtensionArray.from_storage(STREAM.field("logmel").type, flat), pa.ExtensionArray.from_storage(STREAM.field("active").type, flags)], schema=STREAM))
+    return out.getvalue().to_pybytes()
+
+
+STREAM = pa.schema(
+    [
+        ("start_s", pa.float64()), ("end_s", pa.float64()), ("n_frames", pa.int32()),
+        ("logmel", pa.fixed_shape_tensor(pa.float32(), [TENSOR_FRAMES, MELS])), ("active", pa.fixed_shape_tensor(pa.bool_(), [TENSOR_FRAMES])),
+    ]
+)
+
+
+def read_stream(stored: bytes) -> Iterator[tuple[float, float, np.ndarray, np.ndarray]]:
+    """Begin and end in seconds, (n, MELS) log energies and (n,) active flags of each stored tensor."""
+    t = pa.ipc.open_stream(stored).read_all().combine_chunks()
+    mel = t["logmel"].combine_chunks().storage.flatten().to_numpy().reshape(-1, TENSOR_FRAMES, MELS)
+    active = t["active"].combine_chunks().storage.flatten().to_numpy(zero_copy_only=False).reshape(-1, TENSOR_FRAMES)
+    for i, (a, b, n) in enumerate(zip(*(t[c].to_pylist() for c in ("start_s", "end_s", "n_frames")), strict=True)):
+        yield a, b, mel[i, :n], active[i, :n]
+
+
+def digest_of(stored: bytes) -> str:
+    """Counts, mean and deviation of bands, and active spans and end in time, of stored tensors."""
+    n, total, squares, active, runs, before, last = 0, np.zeros(MELS), np.zeros(MELS), 0, 0, False, 0.0
+    for _, last, mel, on in read_stream(stored):  # noqa: B007
+        mel = mel.astype(np.float64)
+        n, total, squares = n + len(mel), total + mel.sum(axis=0), squares + (mel**2).sum(axis=0)
         active, runs, before = active + int(on.sum()), runs + int((on & ~np.append(before, on[:-1])).sum()), bool(on[-1])
     mean = total / n
     spread = np.sqrt(np.maximum(squares / n - mean**2, 0))
     short = lambda x: ",".join(f"{v:.3f}" for v in np.round(x, 3) + 0.0)
-    return f"frames={n};segments={runs};active={active};end={span_of(0, n)[1]:.3f};mean={short(mean)};std={short(spread)}"
+    return f"frames={n};segments={runs};active={active};end={last:.3f};mean={short(mean)};std={short(spread)}"
 
 
 def _media_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for part in (batch.slice(i, 256) for i in range(0, batch.num_rows, 256)):
+            n, payload = zip(*(payload_of(t.as_py()) for t in part.column(1)), strict=True)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(map(wave_bytes, payload), pa.binary())], names=["doc_id", "n_bytes", "media"])
+
+
+def _feature_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for part in (batch.slice(i, 64) for i in range(0, batch.num_rows, 64)):
+            out = []
+            for media in part.column(2):
+                media = media.as_py()
+                back = wave_samples(media)[1]
+                out.append((len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), as_stream(media)))
+            types = (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.binary())
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *(pa.array(c, t) for c, t in zip(zip(*out, strict=True), types, strict=True))], names=[x.split()[0] for x in FEATURES.split(", ")])
+
+
+def _digest_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     names = [x.split()[0] for x in RESULT.split(", ")]
-    types = pa.schema([(a, {"long": pa.int64(), "string": pa.string()}[b]) for a, b in (x.split() for x in RESULT.split(", "))])
     for batch in batches:
-        out = []
-        for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            n, payload = payload_of(text.as_py())
-            media = wave_bytes(payload)
-            back = bytes(wave_samples(media)[1])
-            out.append((doc_id, n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), digest_of(media)))
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [()] * len(names), types.types, strict=True)], schema=types)
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array([digest_of(x.as_py()) for x in batch.column(batch.num_columns - 1)], pa.string())], names=names)
 
 
 def _tensor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            n, mel, active = zip(*tensors_of(wave_bytes(payload_of(text.as_py())[1])), strict=True)
-            start, end = zip(*(span_of(i * TENSOR_FRAMES, k) for i, k in enumerate(n)), strict=True)
-            tensor = pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(mel).reshape(-1)), TENSOR_FRAMES * MELS)
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array([doc_id] * len(n), pa.int64()), pa.array(np.arange(len(n))), pa.array(start, pa.float64()), pa.array(end, pa.float64()),
-                    pa.array(n, pa.int32()), pa.array([MELS] * len(n), pa.int32()),
-                    tensor.cast(pa.list_(pa.float32())), pa.array([a.tolist() for a in active], pa.list_(pa.bool_())),
-                ],
-                names=["doc_id", "tensor", "start_s", "end_s", "n_frames", "n_mels", "logmel", "active"],
-            )
+        for doc_id, stored in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            for i, (start, end, mel, active) in enumerate(read_stream(stored.as_py())):
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([doc_id], pa.int64()), pa.array([i], pa.int64()), pa.array([start]), pa.array([end]), pa.array([len(mel)], pa.int32()), pa.array([MELS], pa.int32()), pa.array([mel.reshape(-1).tolist()], pa.list_(pa.float32())), pa.array([active.tolist()], pa.list_(pa.bool_()))],
+                    names=[x.split()[0] for x in TENSORS.split(", ")],
+                )
+
+
+def store(docs: DataFrame, work: Work) -> DataFrame:
+    """doc_id, n_bytes and media (RIFF/WAVE) of every row of `docs` (doc_id, text), read from the table that was written."""
+    with batches_of(docs.sparkSession, BATCH):
+        return work.keep(docs.select("doc_id", "text").mapInArrow(_media_rows, "doc_id long, n_bytes long, media binary"))
+
+
+def features(stored: DataFrame, work: Work) -> DataFrame:
+    """Measures of the stored bytes and `tensors`, an Arrow stream of fixed-shape log-mel tensors with their time spans
+    (:func:`read_stream`), for every row of :func:`store`, read from the table that was written."""
+    with batches_of(stored.sparkSession, BATCH):
+        return work.keep(stored.mapInArrow(_feature_rows, FEATURES))
 
 
-def features(docs: DataFrame) -> DataFrame:
-    """A row for each tensor of TENSOR_FRAMES x MELS log-mel values (the last one zero-padded), with its time span."""
-    return docs.select("doc_id", "text").mapInArrow(_tensor_rows, TENSORS)
+def frames(featured: DataFrame) -> DataFrame:
+    """A row for each stored tensor: its time span, n_frames x MELS log energies and active flags."""
+    return featured.select("doc_id", "tensors").mapInArrow(_tensor_rows, TENSORS)
 
 
-def as_tensors(rows: pa.Table) -> pa.Table:
-    """Rows of :func:`features` with logmel as Arrow's canonical fixed-shape tensor type."""
-    kind = pa.fixed_shape_tensor(pa.float32(), [TENSOR_FRAMES, MELS])
-    flat = pa.FixedSizeListArray.from_arrays(rows["logmel"].combine_chunks().flatten(), TENSOR_FRAMES * MELS)
-    return rows.set_column(rows.schema.get_field_index("logmel"), "logmel", pa.ExtensionArray.from_storage(kind, flat))
+def digests(featured: DataFrame) -> DataFrame:
+    """Contract columns, with the feature text read from the stored tensors."""
+    return featured.mapInArrow(_digest_rows, RESULT)
 
 
 def media(docs: DataFrame) -> DataFrame:
-    """Stored form, read-back and feature digest of every row."""
-    return docs.select("doc_id", "text").mapInArrow(_media_rows, RESULT)
+    """Recordings stored, read back, turned into stored tensors, and the digests of both."""
+    work = Work(docs.sparkSession, "audio")
+    stored = store(docs, work)
+    featured = features(stored, work)
+    work.drop(stored)  # digests need the recordings no more; store() and features() keep them for who does
+    return digests(featured)
 
 
 def op5_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:

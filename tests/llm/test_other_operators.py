@@ -75,7 +75,10 @@ def test_polyphase_equals_plain_filtering():
 def test_audio_round_trip_and_tensors(spark, monkeypatch):
     import zlib
 
+    import pyarrow as pa
+
     from revnn.llm import op5_audio as m
+    from revnn.llm.common import Work
 
     texts = {1: None, 2: "x", 3: "héllo " * 3000, 4: "héllo " * 3000, 5: "a" * 192}
     d = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
@@ -88,12 +91,20 @@ def test_audio_round_trip_and_tensors(spark, monkeypatch):
         assert r.tail_crc32 == zlib.crc32(payload[-16:])
         assert r.media_sha256 == hashlib.sha256(m.wave_bytes(payload)).hexdigest()
     assert got[3][1:] == got[4][1:]
-    rows = m.features(d).toArrow()
-    tensors = m.as_tensors(rows)
-    assert tensors["logmel"].type.shape == [m.TENSOR_FRAMES, m.MELS]
-    assert all(e > s for s, e in zip(rows["start_s"].to_pylist(), rows["end_s"].to_pylist(), strict=True))
+    work = Work(spark, "audio-test")
+    stored = m.store(d, work)
+    assert {r.doc_id: bytes(r.media) for r in stored.collect()} == {i: m.wave_bytes(m.payload_of(t)[1]) for i, t in texts.items()}
+    featured = m.features(stored, work)
     media = m.wave_bytes(m.payload_of(texts[3])[1])
     whole = m.analyse(media)[0]
+    for r in featured.collect():
+        tensors = pa.ipc.open_stream(bytes(r.tensors)).read_all()
+        assert tensors["logmel"].type.shape == [m.TENSOR_FRAMES, m.MELS] and tensors["active"].type.shape == [m.TENSOR_FRAMES]
+        assert all(e > s for s, e in zip(tensors["start_s"].to_pylist(), tensors["end_s"].to_pylist(), strict=True))
+        if r.doc_id == 3:
+            assert np.array_equal(np.concatenate([x for _, _, x, _ in m.read_stream(bytes(r.tensors))]), whole)
+    rows = m.frames(featured).where("doc_id = 3").orderBy("tensor").collect()
+    assert np.array_equal(np.concatenate([np.array(r.logmel, np.float32) for r in rows]), whole.reshape(-1))
     monkeypatch.setattr(m, "BLOCK_FRAMES", 7)
     assert np.array_equal(whole, m.analyse(media)[0])
 
@@ -104,13 +115,13 @@ def test_audio_frames_reach_the_end():
     for n in (190, 500, 576, 700, 960, 5000):
         text = "word " * (n // 5)
         a, b = (m.wave_bytes(m.payload_of(text + end)[1]) for end in ("aaaa", "~~~~"))
-        assert m.digest_of(a) != m.digest_of(b)
+        assert m.digest_of(m.as_stream(a)) != m.digest_of(m.as_stream(b))
     for n in (190, 500, 576, 700, 960, 5000):
         a = m.wave_bytes(m.payload_of("word " * (n // 5))[1])
         mel = m.analyse(a)[0]
         frames = [k for k, *_ in m.tensors_of(a)]
         assert sum(frames) == len(mel) and m.span_of(0, len(mel))[1] >= len(m.wave_samples(a)[1]) / m.RATE
-        assert m.digest_of(a).startswith(f"frames={len(mel)};")
+        assert m.digest_of(m.as_stream(a)).startswith(f"frames={len(mel)};")
 
 
 def test_hysteresis():
@@ -124,13 +135,13 @@ def test_hysteresis():
 
 
 def test_loser_tree_merges_front_coded_runs():
-    from revnn.llm.op6_suffix import common, decoded, front_coded, merged
+    from revnn.llm.op6_suffix import IDENT, common, decoded, front_coded, merged
 
     rnd = random.Random(5)
     keys = sorted(bytes(rnd.choice(b"ab") for _ in range(rnd.choice([3, 10, 40]))) + b"\xff" for _ in range(2000))
     runs: list = [[] for _ in range(7)]
     for k in keys:
-        runs[rnd.randrange(7)].append((k, b"0" * 16, True))
+        runs[rnd.randrange(7)].append((k, b"0" * IDENT, True))
     out = list(merged([decoded(front_coded(r)) for r in runs]))
     assert [x[1] for x in out] == keys
     assert all(out[i][0] == common(out[i - 1][1], out[i][1]) for i in range(1, len(out)))
@@ -170,9 +181,36 @@ def test_repeats_equal_brute_force(spark, monkeypatch):
     assert [m.anchors((t or "").encode()) for t in texts] == whole
     monkeypatch.undo()
     d = spark.createDataFrame([(i if i % 9 else None, t, "x") for i, t in enumerate(texts)], "doc_id long, text string, spans string").repartition(5)
-    got = Counter(tuple(r)[1:] for r in m.remove_repeats(d).collect())
-    assert got == Counter(repeats_of([(t or "").encode() for t in texts]))
+    rows = m.remove_repeats(d).collect()
+    assert Counter(tuple(r)[1:5] for r in rows) == Counter(repeats_of([(t or "").encode() for t in texts]))
     assert m.remove_repeats(d.where("false")).count() == 0
+    # passages: runs of 51 words in two documents
+    runs = Counter()
+    for t in texts:
+        w = (t or "").split()
+        runs.update({tuple(w[j : j + 51]) for j in range(len(w) - 50)})
+    told = Counter()
+    for t in texts:
+        w = (t or "").split()
+        told[any(runs[tuple(w[j : j + 51])] > 1 for j in range(len(w) - 50))] += 1
+    caught = sum(r.passage_words > 0 for r in rows)
+    assert all((r.n_passages > 0) == (r.passage_words > 50) for r in rows)
+    assert 0.95 * told[True] <= caught <= told[True]
+
+
+def test_short_passages_are_told_though_kept(spark):
+    """A passage of 60 short words in several documents is reported, repeats inside one document are not."""
+    from revnn.llm import op6_suffix as m
+
+    rnd = random.Random(16)
+    words = ["".join(rnd.choice("abcdefgh") for _ in range(rnd.randint(2, 7))) for _ in range(3000)]
+    said = lambda n: " ".join(rnd.choice(words) for _ in range(n))
+    passage, own = said(60), said(30)
+    texts = [f"{said(80)} {passage} {said(50)}" if i < 20 else f"{own} {said(20)} {own} {said(9)} {own} {own}" if i == 20 else said(200) for i in range(60)]
+    rows = m.remove_repeats(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    told = {r.doc_id for r in rows if r.n_passages}
+    assert told <= set(range(20)) and len(told) >= 17  # a third of a kilobyte: an anchor stands inside in most documents
+    assert all(60 <= r.passage_words <= 62 for r in rows if r.n_passages) and all(r.n_removed == 0 for r in rows if r.doc_id != 20)
 
 
 # --- near-duplicates

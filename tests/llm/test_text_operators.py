@@ -298,5 +298,5 @@ def test_odd_rows(spark, odd):
     assert len(lang) == 8
     assert all(r.lang_pred == "und" for r in lang if r.doc_id in (1, 2, 4, 6))
     none = odd.where("false")
-    for f in (op2_mixing.mix, op3_bpe.digests, op4_pii.detect, op5_audio.media, op5_audio.features, op10_licenses.scan, lambda d: op7_language.identify(d, op7_language.learn(d))):
+    for f in (op2_mixing.mix, op3_bpe.digests, op4_pii.detect, op5_audio.media, op10_licenses.scan, lambda d: op7_language.identify(d, op7_language.learn(d))):
         assert f(none).count() == 0
