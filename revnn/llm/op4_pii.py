@@ -275,7 +275,7 @@ def redact(text: Column, spans: Column) -> Column:
 
 def op4_pii_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = detect(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    return d.select("doc_id", *(f"n_{k}" for k in KINDS), F.sha2(listed(F.col("base")), 256).alias("base_sha256"), listed(F.col("spans")).alias("spans"))
+    return d.select("doc_id", *(f"n_{k}" for k in KINDS), F.sha2(listed(F.col("base")), 256).alias("base_sha256"), listed(F.col("spans")).alias("spans"), F.size("spans").cast("long").alias("n_spans"), (F.size("spans") - F.size("base")).cast("long").alias("n_added"))
 
 
 QUERIES = {"op4_pii_spans": op4_pii_spans}
