@@ -25,9 +25,14 @@ def named(df: DataFrame) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a language (no text, no letters) go; a missing label is filled with the prediction."""
+    """Documents without a language (no text, no letters) go; a missing label is filled with the prediction.
+
+    Without one labelled row there is nothing to predict: what has a letter stays, with a null label."""
     docs = docs.select(*COLUMNS)
-    found = op7_language.identify(docs, op7_language.learn(docs)).where("lang_pred != 'und'")
+    model = op7_language.learn(docs)
+    if model is None:
+        return docs.where(F.rlike("text", F.lit(r"\p{L}")))
+    found = op7_language.identify(docs, model).where("lang_pred != 'und'")
     return found.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*COLUMNS)
 
 

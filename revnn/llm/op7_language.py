@@ -35,7 +35,11 @@ SAMPLE_ROWS = 4000
 BUCKETS = 1 << 13
 SLICE = 1 << 20
 AMBIGUOUS = 0.1
-LETTER = re.compile(r"[^\W\d_]")
+
+
+def has_letter(text: str | None) -> bool:
+    """Whether some character is of a letter category (L*); numerals that look like letters are not."""
+    return any(map(str.isalpha, text or ""))
 
 
 def trigrams(text: str) -> np.ndarray:
@@ -179,7 +183,7 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
         for part in parts:
             out = []
             for t in part:
-                if t and m and LETTER.search(t):
+                if m and has_letter(t):
                     # a row at a time: equal texts give equal sums, whatever stands beside them
                     k, p, gap = m.predict(row_of(trigrams(t))[None])
                     out.append((m.langs[k[0]], float(p[0]), bool(gap[0] < AMBIGUOUS)))
