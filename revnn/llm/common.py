@@ -116,6 +116,16 @@ def prefix_sums(a, chunk: int = 256):
     return F.when(F.size(a) > 0, bind(a, of)).otherwise(F.array().cast("array<bigint>"))
 
 
+def spread_join(rows: DataFrame, keyed: DataFrame, key: list[str], by: list[str], how: str = "inner") -> DataFrame:
+    """`rows` joined with `keyed` (one row for each key), a key's rows dealt to as many tasks as its column `salts` says.
+
+    Rows of a key are told apart by `by` and by their place in the input. The few keys with several salts are broadcast
+    if they are shown to be few."""
+    hot = keyed.where("salts > 1").select(*key, "salts")
+    d = rows.join(small(hot), key, "left").withColumn("_salt", F.pmod(F.xxhash64(*by, F.monotonically_increasing_id()), F.coalesce("salts", F.lit(1))).cast("int")).drop("salts")
+    return d.join(keyed.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts"), [*key, "_salt"], how).drop("_salt")
+
+
 BITMAP = 1 << 15
 BITS = 1 << 24
 

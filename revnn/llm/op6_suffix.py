@@ -16,6 +16,10 @@ The longest common prefix with its neighbours bounds how far any repeat of an an
 neighbour proves an interval of window offsets. Where the proven intervals don't fill the bounds, windows in between
 are settled by digests of the windows themselves.
 
+Beside what is removed, the same sorts report passages: a neighbour from another document shares some bytes before and
+after the anchor, and if these hold more than PASSAGE words, they are a passage that both documents hold, though it may
+be too short to be removed. Passages of LENGTH bytes or more are always met; of shorter ones those with an anchor inside.
+
 Defined cases: null text is empty; texts shorter than LENGTH lose nothing; copies of a text lose all of it; repeated
 rows are copies of each other; texts of any length are cut into slices that overlap by LENGTH; an empty table gives an
 empty result; further columns are ignored.
@@ -33,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from revnn.llm.common import Work, fixed_filter, small, table
+from revnn.llm.common import Work, fixed_filter, small, spread_join, table
 
 LENGTH, GRAM = 400, 64
 REACH = LENGTH - GRAM
@@ -42,7 +46,13 @@ SLICE = 1 << 19
 RANGE_KEYS, SPLIT_SAMPLE, RUN_KEYS = 8192, 4096, 20_000
 #: A byte that no UTF-8 text has: ends the first part of a key.
 END = b"\xff"
-SALTS = 16
+#: Words that a reported passage has more than, and the fewest bytes that can hold so many.
+PASSAGE = 50
+LEAST_BYTES = 2 * PASSAGE + 1
+#: Bytes of an id in a run: a digest of the surroundings, and which document alone has them (zeros: several do).
+IDENT = 24
+#: Occurrences of a surrounding, or copies of a text, that a task takes, about.
+DEALT = 4096
 #: Open windows up to which they are broadcast (36 bytes each).
 ASKED = 100_000
 U = np.uint64
@@ -157,9 +167,9 @@ def decoded(blob: bytes) -> Iterator[tuple[int, bytes, bytes, bool]]:
     at, last = 0, b""
     while at < len(blob):
         n, m, owned = struct.unpack_from("<HHB", blob, at)
-        last = last[:n] + blob[at + 21 : at + 21 + m]
-        yield n, last, blob[at + 5 : at + 21], bool(owned)
-        at += 21 + m
+        last = last[:n] + blob[at + 5 + IDENT : at + 5 + IDENT + m]
+        yield n, last, blob[at + 5 : at + 5 + IDENT], bool(owned)
+        at += 5 + IDENT + m
 
 
 def merged(runs: list[Iterator[tuple[int, bytes, bytes, bool]]]) -> Iterator[tuple[int, bytes, bytes, bool]]:
@@ -237,32 +247,41 @@ def united(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [tuple(x) for x in out]
 
 
-def neighbours(kind: int, keys: Iterator[tuple[int, bytes, bytes, bool]]) -> Iterator[tuple[bytes, int, list[tuple[int, int]]]]:
-    """For owned keys: id, most bytes that any key shares on this side, and the window offsets that neighbours prove."""
-    recent: list[list] = []  # [cut, key, id, owned, most, spans, common prefix with the key after it so far]
+def elsewhere(a: bytes, b: bytes) -> bool:
+    """Whether two ids stand for places in different documents."""
+    return a[16:] != b[16:] or not any(a[16:])
+
+
+def neighbours(kind: int, keys: Iterator[tuple[int, bytes, bytes, bool]]) -> Iterator[tuple[bytes, int, list[tuple[int, int]], tuple[int, int]]]:
+    """For owned keys: id, most bytes that any key shares on this side, the window offsets that neighbours prove, and
+    the longest stretch (bytes after the anchor's begin and before it) shared with another document's neighbour."""
+    recent: list[list] = []  # [cut, key, id, owned, most, spans, stretch, common prefix with the key after it so far]
     for n, key, ident, owned in keys:
-        me = [key.index(END), key, ident, owned, 0, []]
+        me = [key.index(END), key, ident, owned, 0, [], (0, 0)]
         shared = n
         for back, other in enumerate(reversed(recent)):
             if back:
-                shared = min(shared, recent[-back][6])
+                shared = min(shared, recent[-back][7])
             if shared < GRAM:
                 break
             ahead, before = overlap(kind, (me[0], key), (other[0], other[1]), shared)
             span = (LENGTH - ahead, before)
+            across = ahead + before >= LEAST_BYTES and elsewhere(ident, other[2])
             for x in (me, other):
                 x[4] = max(x[4], ahead if kind == 1 else before + GRAM)
                 if span[0] <= span[1]:
                     x[5].append(span)
+                if across and ahead + before > sum(x[6]):
+                    x[6] = (ahead, before)
         me.append(n)
         recent.append(me)
         if len(recent) > NEIGHBOURS:
             done = recent.pop(0)
             if done[3]:
-                yield done[2], done[4], united(done[5])
+                yield done[2], done[4], united(done[5]), done[6]
     for done in recent:
         if done[3]:
-            yield done[2], done[4], united(done[5])
+            yield done[2], done[4], united(done[5]), done[6]
 
 
 def _make_runs(kind: int, splitters: list[bytes]):
@@ -283,8 +302,8 @@ def _make_runs(kind: int, splitters: list[bytes]):
             held.clear()
 
         for batch in batches:
-            for ctx, ahead, back in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                held.append((KEYS[kind](ahead, back), ctx))
+            for ctx, owner, ahead, back in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                held.append((KEYS[kind](ahead, back), ctx + owner))
                 if len(held) == RUN_KEYS:
                     yield from flush()
         yield from flush()
@@ -294,12 +313,12 @@ def _make_runs(kind: int, splitters: list[bytes]):
 
 def _merge_runs(kind: int):
     def merge(t: pa.Table) -> pa.Table:
-        out = ([], [], [])
-        for ident, most, spans in neighbours(kind, merged([decoded(x.as_py()) for x in t["run"]])):
-            for column, v in zip(out, (ident, most, [{"lo": lo, "hi": hi} for lo, hi in spans]), strict=True):
+        out = ([], [], [], [], [])
+        for ident, most, spans, (after, before) in neighbours(kind, merged([decoded(x.as_py()) for x in t["run"]])):
+            for column, v in zip(out, (ident[:16], most, [{"lo": lo, "hi": hi} for lo, hi in spans], after, before), strict=True):
                 column.append(v)
-        types = (pa.binary(), pa.int32(), pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())])))
-        return pa.table([pa.array(c, x) for c, x in zip(out, types, strict=True)], names=["ctx", "most", "spans"])
+        types = (pa.binary(), pa.int32(), pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())])), pa.int32(), pa.int32())
+        return pa.table([pa.array(c, x) for c, x in zip(out, types, strict=True)], names=["ctx", "most", "spans", "after", "before"])
 
     return merge
 
@@ -308,7 +327,7 @@ SPANS = "array<struct<lo:int,hi:int>>"
 
 
 def sorted_sides(contexts: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
-    """For both sorts: ctx, most, spans."""
+    """For both sorts: ctx, most, spans, after, before."""
     # about SPLIT_SAMPLE keys, whatever n
     sample = contexts.where(F.pmod(F.xxhash64("ctx"), F.lit(max(n, SPLIT_SAMPLE))) < SPLIT_SAMPLE).select("ahead", "back").collect()
     ranges = min(max(1, -(-n // RANGE_KEYS)), max(1, len(sample) // 8))
@@ -316,8 +335,8 @@ def sorted_sides(contexts: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
     for kind in (1, 2):
         keys = sorted(KEYS[kind](bytes(r.ahead), bytes(r.back)) for r in sample)
         splitters = sorted({keys[len(keys) * i // ranges] for i in range(1, ranges)})
-        runs = contexts.select("ctx", "ahead", "back").mapInArrow(_make_runs(kind, splitters), "part int, run binary")
-        found.append(runs.groupBy("part").applyInArrow(_merge_runs(kind), f"ctx binary, most int, spans {SPANS}"))
+        runs = contexts.select("ctx", "owner", "ahead", "back").mapInArrow(_make_runs(kind, splitters), "part int, run binary")
+        found.append(runs.groupBy("part").applyInArrow(_merge_runs(kind), f"ctx binary, most int, spans {SPANS}, after int, before int"))
     return found[0], found[1]
 
 
@@ -348,9 +367,9 @@ def _windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _matches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """ctx, ahead, back, asked (windows of the same gram) -> the asked windows that stand here."""
+    """ctx, ahead, back, asked (windows of the same gram by offset) -> the asked windows that stand here."""
     for batch in batches:
-        out = [(ctx, w["window"]) for ctx, ahead, back, asked in zip(*(c.to_pylist() for c in batch.columns), strict=True) for w in asked if window_id(ahead, back, w["x"]) == w["window"]]
+        out = [(ctx, d) for ctx, ahead, back, asked in zip(*(c.to_pylist() for c in batch.columns), strict=True) for w in asked if (d := window_id(ahead, back, w["x"])) in w["windows"]]
         yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in (zip(*out, strict=True) if out else [()] * 2)], names=["ctx", "window"])
 
 
@@ -358,24 +377,46 @@ def _context_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     for batch in batches:
         for t, wanted in zip(batch.column(0), batch.column(1), strict=True):
             text = (t.as_py() or "").encode("utf-8", "surrogatepass")
-            rows = [(w["ctx"], w["fp"], *surroundings(text, w["a"])) for w in wanted.as_py()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*rows, strict=True), (pa.binary(), pa.int64(), pa.binary(), pa.binary()), strict=True)], names=["ctx", "fp", "ahead", "back"])
+            rows = [(w["ctx"], w["fp"], w["owner"], *surroundings(text, w["a"])) for w in wanted.as_py()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*rows, strict=True), (pa.binary(), pa.int64(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["ctx", "fp", "owner", "ahead", "back"])
+
+
+def words_in(text: bytes, lo: int, hi: int) -> int:
+    """Whole words between two places."""
+    part = text[lo:hi]
+    if lo and not text[lo - 1 : lo].isspace():
+        part = _without_first(part)
+    if hi < len(text) and not text[hi : hi + 1].isspace():
+        part = _without_first(part[::-1])
+    return len(part.split())
+
+
+def _without_first(part: bytes) -> bytes:
+    """What follows the first word, if the part begins with one."""
+    return part if part[:1].isspace() else (part.split(None, 1) + [b"", b""])[1]
 
 
 def _result_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        out = ([], [], [], [], [])
+        out = ([], [], [], [], [], [], [])
         for doc_id, t, spans in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), strict=True):
             text = (t.as_py() or "").encode("utf-8", "surrogatepass")
-            runs = united([(s["s"], s["e"] - 1) for s in spans or []])
+            runs = united([(s["s"], s["e"] - 1) for s in spans or [] if not s["passage"]])
             kept, at = hashlib.sha256(), 0
             for lo, hi in runs:
                 kept.update(text[at:lo])
                 at = hi + 1
             kept.update(text[at:])
-            for c, v in zip(out, (doc_id, len(text), sum(hi - lo + 1 for lo, hi in runs), len(runs), kept.hexdigest()), strict=True):
+            passages = [(max(0, s["s"]), min(len(text), s["e"])) for s in spans or [] if s["passage"]]
+            passages = united([(lo, hi - 1) for lo, hi in passages if words_in(text, lo, hi) > PASSAGE])
+            n_words = sum(words_in(text, lo, hi + 1) for lo, hi in passages)
+            for c, v in zip(out, (doc_id, len(text), sum(hi - lo + 1 for lo, hi in runs), len(runs), kept.hexdigest(), len(passages), n_words), strict=True):
                 c.append(v)
-        yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(out, (*[pa.int64()] * 4, pa.string()), strict=True)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+        yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(out, (*[pa.int64()] * 4, pa.string(), pa.int64(), pa.int64()), strict=True)], names=[x.split()[0] for x in RESULT.split(", ")])
+
+
+RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, n_passages long, passage_words long"
+OWNED = "array<struct<s:bigint,e:bigint,passage:boolean>>"
 
 
 def with_key(docs: DataFrame) -> DataFrame:
@@ -383,59 +424,73 @@ def with_key(docs: DataFrame) -> DataFrame:
 
 
 def repeated_spans(docs: DataFrame, work: Work) -> DataFrame:
-    """tkey (names a text), spans: array<struct<s, e>> of bytes that repeated strings cover, unmerged."""
+    """tkey (names a text), copies (rows that have it), spans: array<struct<s, e, passage>>, unmerged.
+
+    Spans that are no passage are what repeated strings of LENGTH bytes cover."""
     rows = work.keep(with_key(docs).mapInArrow(_anchor_rows, f"doc_id long, tkey binary, n_bytes long, anchors {ANCHOR}"))
     every = rows.select("doc_id", "tkey", F.explode("anchors").alias("x")).select("doc_id", "tkey", "x.*")
     twice = every.groupBy("fp").agg(F.count(F.lit(1)).alias("n"), F.min("ctx").alias("one"), F.max("ctx").alias("other")).where("n > 1")
     # kept before the join, so that both sides are exchanged and a frequent gram can be split
     twice = work.keep(twice.select("fp", (F.col("one") != F.col("other")).alias("mixed")))
     found = work.keep(every.join(twice, "fp"))
-    by_ctx = work.keep(found.groupBy("ctx").agg(F.count(F.lit(1)).alias("n"), F.max("mixed").alias("mixed"), F.first("fp").alias("fp"), F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.min(F.struct("tkey", "doc_id", "a")).alias("at")))
+    by_ctx = found.groupBy("ctx").agg(F.count(F.lit(1)).alias("n"), F.max("mixed").alias("mixed"), F.first("fp").alias("fp"), F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.min(F.struct("tkey", "doc_id", "a")).alias("at"), F.max("tkey").alias("other"))
+    by_ctx = work.keep(by_ctx.withColumn("owner", F.when(F.col("at.tkey") == F.col("other"), F.substring("other", 1, 8)).otherwise(F.lit(bytes(8)))).drop("other"))
 
-    wanted = by_ctx.where("mixed").groupBy("at.tkey", "at.doc_id").agg(F.collect_list(F.struct("ctx", "fp", F.col("at.a").alias("a"))).alias("wanted"))
+    wanted = by_ctx.where("mixed").groupBy("at.tkey", "at.doc_id").agg(F.collect_list(F.struct("ctx", "fp", "owner", F.col("at.a").alias("a"))).alias("wanted"))
     wanted = work.keep(wanted)
-    needed = fixed_filter(wanted, "tkey", "doc_id")(with_key(docs), "needed").where("needed")
-    texts = needed.alias("d").join(wanted.alias("w"), (F.col("d.tkey") == F.col("w.tkey")) & F.col("d.doc_id").eqNullSafe(F.col("w.doc_id")))
-    # equal rows give equal contexts; they do no harm, as such contexts are repeated anyway
-    contexts = work.keep(texts.select("d.text", "w.wanted").mapInArrow(_context_rows, "ctx binary, fp long, ahead binary, back binary"))
+    needed = fixed_filter(wanted, "tkey", "doc_id")(with_key(docs), "needed").where("needed").withColumn("_id", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
+    # equal rows are equal texts: each task passes on one of them
+    needed = needed.groupBy("tkey", "_id").agg(F.first("text").alias("text"))
+    texts = needed.join(wanted.withColumn("_id", F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))), ["tkey", "_id"])
+    contexts = work.keep(texts.select("text", "wanted").mapInArrow(_context_rows, "ctx binary, fp long, owner binary, ahead binary, back binary"))
+    work.drop(wanted, twice)
     ahead, back = sorted_sides(contexts, contexts.count())
     sides = ahead.withColumn("side", F.lit(1)).unionByName(back.withColumn("side", F.lit(2)))
-    sides = sides.groupBy("ctx").agg(F.max(F.when(F.col("side") == 1, F.col("most"))).alias("ahead"), F.max(F.when(F.col("side") == 2, F.col("most"))).alias("back"), F.flatten(F.collect_list("spans")).alias("spans"))
+    stretch = F.max(F.struct((F.col("after") + F.col("before")).alias("both"), "after", "before")).alias("stretch")
+    sides = work.keep(sides.groupBy("ctx").agg(F.max(F.when(F.col("side") == 1, F.col("most"))).alias("ahead"), F.max(F.when(F.col("side") == 2, F.col("most"))).alias("back"), F.flatten(F.collect_list("spans")).alias("spans"), stretch))
     alone = by_ctx.where("mixed and n = 1").select("ctx", "lo", "hi", "fp")
-    sides = sides.join(alone, "ctx").select("ctx", "ahead", "back", "spans", "lo", "hi")
-    settled = work.keep(sides.mapInArrow(_settle, f"ctx binary, proven {SPANS}, open array<int>"))
+    settled = work.keep(sides.join(alone, "ctx").select("ctx", "ahead", "back", "spans", "lo", "hi").mapInArrow(_settle, f"ctx binary, proven {SPANS}, open array<int>"))
 
     # few windows are left; they are looked for where their gram stands
     still = settled.where(F.size("open") > 0).select("ctx", F.col("open").alias("offsets"))
     still = work.keep(contexts.join(small(still), "ctx").select("ctx", "fp", "ahead", "back", "offsets").mapInArrow(_windows, "ctx binary, fp long, x int, window binary"))
-    asked = small(still.groupBy("fp").agg(F.collect_set(F.struct("x", "window")).alias("asked"))) if still.count() <= ASKED else still.groupBy("fp").agg(F.collect_set(F.struct("x", "window")).alias("asked"))
+    asked = still.groupBy("fp", "x").agg(F.collect_set("window").alias("windows")).groupBy("fp").agg(F.collect_list(F.struct("x", "windows")).alias("asked"))
+    asked = small(asked) if still.count() <= ASKED else asked
     matches = contexts.join(asked, "fp").select("ctx", "ahead", "back", "asked").mapInArrow(_matches, "ctx binary, window binary")
     again = matches.groupBy("window").agg(F.count_distinct("ctx").alias("n")).where("n > 1")
     proven = still.join(again, "window").select("ctx", F.col("x").alias("lo"), F.col("x").alias("hi"))
     proven = proven.unionByName(settled.select("ctx", F.explode("proven").alias("p")).select("ctx", "p.lo", "p.hi"))
     proven = proven.groupBy("ctx").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
 
-    once = found.select("ctx", "tkey", "a", "lo", "hi").join(by_ctx.where("mixed and n = 1").select("ctx"), "ctx").join(proven, "ctx").select("tkey", "a", F.col("lo").alias("least"), F.col("hi").alias("most"), F.explode("spans").alias("p"))
-    once = once.select("tkey", (F.col("a") - F.least("most", "p.hi")).alias("s"), (F.col("a") - F.greatest("least", "p.lo") + LENGTH).alias("e"), F.greatest("least", "p.lo").alias("x"), F.least("most", "p.hi").alias("y"))
-    once = once.where("x <= y").select("tkey", "s", "e")
-    # elsewhere too, with the same surroundings: all windows of the anchor (a salt spreads the copies of a context)
-    several = by_ctx.where("n > 1").select("ctx", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    copies = rows.groupBy("tkey").agg(F.count(F.lit(1)).alias("n"), F.first("n_bytes").alias("n_bytes")).where(f"n > 1 and n_bytes >= {LENGTH}")
-    whole = found.withColumn("salt", F.pmod(F.xxhash64("tkey", "a"), F.lit(SALTS)).cast("int")).join(several, ["ctx", "salt"])
-    whole = whole.select("tkey", (F.col("a") - F.col("hi")).alias("s"), (F.col("a") - F.col("lo") + LENGTH).alias("e"))
-    spans = once.unionByName(whole).unionByName(copies.select("tkey", F.lit(0).cast("long").alias("s"), F.col("n_bytes").alias("e"))).distinct()
-    return work.keep(spans.groupBy("tkey").agg(F.collect_list(F.struct("s", "e")).alias("spans")))
+    # what is known of a surrounding holds wherever it stands; one that stands at several places repeats as a whole
+    known = by_ctx.select("ctx", "n", (F.col("owner") == F.lit(bytes(8))).alias("shared")).join(proven, "ctx", "left").join(sides.where("stretch.both > 0").select("ctx", "stretch.after", "stretch.before"), "ctx", "left")
+    known = known.where("n > 1 or spans is not null or after is not null").withColumn("salts", F.ceil(F.col("n") / DEALT).cast("int"))
+    placed = spread_join(found.select("ctx", "tkey", "a", "lo", "hi"), work.keep(known), ["ctx"], ["tkey", "a"])
+    span = lambda s, e, passage: F.struct(s.cast("long").alias("s"), e.cast("long").alias("e"), F.lit(passage).alias("passage"))
+    a, lo, hi = F.col("a"), F.col("lo"), F.col("hi")
+    some = F.filter(F.transform("spans", lambda p: F.struct(F.greatest(lo, p["lo"]).alias("x"), F.least(hi, p["hi"]).alias("y"))), lambda p: p["x"] <= p["y"])
+    removed = F.when(F.col("n") > 1, F.array(span(a - hi, a - lo + LENGTH, False))).otherwise(F.transform(some, lambda p: span(a - p["y"], a - p["x"] + LENGTH, False)))
+    passage = F.when((F.col("n") > 1) & F.col("shared"), F.array(span(a - REACH, a + LENGTH, True))).when(F.col("after").isNotNull(), F.array(span(a - F.col("before"), a + F.col("after"), True)))
+    none = F.array().cast(OWNED)
+    placed = placed.select("tkey", F.explode(F.concat(F.coalesce(removed, none), F.coalesce(passage, none))).alias("span"))
+    copies = rows.groupBy("tkey").agg(F.count(F.lit(1)).alias("copies"), F.first("n_bytes").alias("n_bytes")).where("copies > 1 and n_bytes > 0")
+    zero, end = F.lit(0), F.col("n_bytes")
+    whole = copies.select("tkey", F.explode(F.concat(F.when(end >= LENGTH, F.array(span(zero, end, False))).otherwise(none), F.array(span(zero, end, True)))).alias("span"))
+    spans = placed.distinct().unionByName(whole).groupBy("tkey").agg(F.collect_list("span").alias("spans"))
+    spans = work.keep(spans.join(copies.select("tkey", "copies"), "tkey", "left").select("tkey", F.coalesce("copies", F.lit(1)).alias("copies"), "spans"))
+    work.drop(rows, found, by_ctx, contexts, sides, settled, still)
+    return spans
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row."""
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, n_passages, passage_words for every row."""
     spans = repeated_spans(docs, Work(docs.sparkSession, "suffix"))
-    d = fixed_filter(spans, "tkey")(with_key(docs), "maybe").withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int"))
-    salted = spans.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    some = d.where("maybe").join(salted, ["tkey", "salt"], "left").select("doc_id", "text", "spans")
+    d = fixed_filter(spans, "tkey")(with_key(docs), "maybe")
+    keyed = spans.withColumn("salts", F.ceil(F.col("copies") / DEALT).cast("int")).drop("copies")
+    some = spread_join(d.where("maybe").select("doc_id", "text", "tkey"), keyed, ["tkey"], ["doc_id"], "left").select("doc_id", "text", "spans")
     # texts that surely lose nothing aren't moved
-    d = some.unionByName(d.where("not maybe").select("doc_id", "text", F.lit(None).cast("array<struct<s:bigint,e:bigint>>").alias("spans")))
-    return d.mapInArrow(_result_rows, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    d = some.unionByName(d.where("not maybe").select("doc_id", "text", F.lit(None).cast(OWNED).alias("spans")))
+    return d.mapInArrow(_result_rows, RESULT)
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
