@@ -8,6 +8,7 @@ from __future__ import annotations
 from functools import reduce
 from math import cos, pi, sin
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -15,13 +16,21 @@ from revnn.functions.geometry import sector_any
 from revnn.operators.knn import OTHER
 from revnn.plans import grid
 from revnn.plans.cuts import cut
+from revnn.plans.density import Density, density
 
 
-def top_by_sector(near: DataFrame, sectors: int = 6) -> DataFrame:
+def top_by_sector(near: DataFrame, sectors: int = 6, most: int | None = None) -> DataFrame:
     """(qid, id, x, y, d2, sector, rank_in_sector) from (qid, qx, qy, k, id, x, y, d2)."""
     d = near.withColumn("sector", sector_any(F.col("x") - F.col("qx"), F.col("y") - F.col("qy"), sectors))
-    w = Window.partitionBy("qid", "sector").orderBy("d2", "id")
-    return d.withColumn("rank_in_sector", F.row_number().over(w)).where("rank_in_sector <= k OR sector = -1")
+    if most is None:
+        w = Window.partitionBy("qid", "sector").orderBy("d2", "id")
+        return d.withColumn("rank_in_sector", F.row_number().over(w)).where("rank_in_sector <= k OR sector = -1")
+    # a constant bound lets each task drop the rest before the exchange; points at the query's place all count as first
+    w = Window.partitionBy("qid", "sector", "_own").orderBy("d2", "id")
+    d = d.withColumn("_own", F.when(F.col("sector") == -1, F.col("id"))).withColumn("rank_in_sector", F.row_number().over(w))
+    d = d.where(F.col("rank_in_sector") <= most).where("rank_in_sector <= k").drop("_own")
+    own = F.row_number().over(Window.partitionBy("qid", "sector").orderBy("d2", "id"))
+    return d.withColumn("rank_in_sector", F.when(F.col("sector") == -1, own).otherwise(F.col("rank_in_sector")))
 
 
 def sector_reach(box, s: int, sectors: int = 6) -> Column:
@@ -44,17 +53,26 @@ def sector_reach(box, s: int, sectors: int = 6) -> Column:
     return F.when(inside, F.greatest(*seen) * (1 + 1e-9)).otherwise(F.greatest(*far))
 
 
-def six_sector(p: DataFrame, q: DataFrame, sectors: int = 6, box=None) -> DataFrame:
-    """(qid, id, x, y, d2, sector, rank_in_sector): discs double until every sector holds k points or all it can see.
+COLUMNS = ("qid", "id", "x", "y", "d2", "sector", "rank_in_sector")
 
-    One count for each round comes to the driver; queries that are finished leave the loop."""
+
+def six_sector(p: DataFrame, q: DataFrame, sectors: int = 6, box=None, spread: Density | None = None) -> DataFrame:
+    """(qid, id, x, y, d2, sector, rank_in_sector): discs grow until every sector holds k points or all it can see.
+
+    A bounded batch starts with discs that fit the density around each query, so that one round mostly does; the
+    driver sees a count for each query and sector. Larger batches start alike everywhere; one count for each round
+    comes to the driver. Queries that are finished leave the loop."""
+    rows = grid.bounded(q)
+    if rows is not None:
+        spread = spread or density(p)
+        return _batch(p, q, rows, sectors, spread) if rows and spread.box[0] else _none(p, q, sectors)
     box = box or grid.box_of(p)
     q = cut(q)
     k = q.agg(F.max("k")).first()[0] or 1
     radius, done = grid.first_radius(box, 1.5 * sectors * k), []
     while (left := q.count()) and box[0]:
         near = grid.within(p, q.withColumn("_r", F.lit(radius)), "_r", radius, left, box).where(OTHER)
-        top = cut(top_by_sector(near, sectors).select("qid", "id", "x", "y", "d2", "sector", "rank_in_sector"))
+        top = cut(top_by_sector(near, sectors).select(*COLUMNS))
         held = top.groupBy("qid").pivot("sector", list(range(sectors))).count()
         state = q.join(held, "qid", "left")
         fine = reduce(lambda a, b: a & b, ((F.coalesce(F.col(f"`{s}`"), F.lit(0)) >= F.col("k")) | (sector_reach(box, s, sectors) <= radius) for s in range(sectors)))
@@ -62,9 +80,34 @@ def six_sector(p: DataFrame, q: DataFrame, sectors: int = 6, box=None) -> DataFr
         done.append(top.join(state.where("_done").select("qid"), "qid", "left_semi"))
         q = cut(state.where("NOT _done").drop("_done"))
         radius *= 2
-    if not done:
-        empty = q.join(p, F.lit(False)).withColumn("d2", F.lit(0.0))
-        return top_by_sector(empty, sectors).select("qid", "id", "x", "y", "d2", "sector", "rank_in_sector")
+    return reduce(DataFrame.unionByName, done) if done else _none(p, q, sectors)
+
+
+def _none(p: DataFrame, q: DataFrame, sectors: int) -> DataFrame:
+    return top_by_sector(q.join(p, F.lit(False)).withColumn("d2", F.lit(0.0)), sectors).select(*COLUMNS)
+
+
+def _batch(p: DataFrame, q: DataFrame, rows: list, sectors: int, spread: Density) -> DataFrame:
+    box, done = spread.box, []
+    if all(r["k"] is None for r in rows):
+        return _none(p, q, sectors)
+    xy, k = np.array([(r["qx"], r["qy"]) for r in rows], float), np.array([r["k"] for r in rows], float)
+    # room for the emptiest of the sectors
+    radii = spread.radius(xy, sectors * (k + 2.5 * np.sqrt(k) + 1))
+    reach = {r["qid"]: [x or 0.0 for x in r["reach"]] for r in grid.local(rows, q).select("qid", F.array(*(sector_reach(box, s, sectors) for s in range(sectors))).alias("reach")).collect()}
+    while rows:
+        near = grid.within_each(p, rows, q, radii.tolist(), box).where(OTHER)
+        top = cut(top_by_sector(near, sectors, int(max(r["k"] for r in rows))).select(*COLUMNS))
+        held = {}
+        for r in top.groupBy("qid", "sector").count().collect():
+            held.setdefault(r.qid, {})[r.sector] = r["count"]
+        full = [all(held.get(r["qid"], {}).get(s, 0) >= r["k"] or reach[r["qid"]][s] <= radius for s in range(sectors)) for r, radius in zip(rows, radii, strict=True)]
+        if all(full):
+            done.append(top)
+            break
+        if any(full):
+            done.append(top.join(F.broadcast(grid.local([r for r, f in zip(rows, full, strict=True) if f], q).select("qid")), "qid", "left_semi"))
+        rows, radii = [r for r, f in zip(rows, full, strict=True) if not f], 2 * radii[~np.array(full)]
     return reduce(DataFrame.unionByName, done)
 
 

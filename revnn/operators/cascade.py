@@ -59,6 +59,8 @@ def knn_radius2(points: np.ndarray, ids: np.ndarray, at: np.ndarray, own: int, k
 def run(q, q_id, k: int, cand: np.ndarray, cand_ids: np.ndarray, points: np.ndarray, ids: np.ndarray, r_q: float, reach: float = np.inf, order: str = "boundary_out", match: str = "exhaustive", rules=RULES, neighbours=None) -> Outcome:
     """cand (n, 2) and points (m, 2) with ids; points hold every point within `reach` of the query.
 
+    A candidate farther than half of `reach` gets no radius here; what no conic settles of these has rule 'deferred'.
+
     neighbours: for each candidate the positions of its graph neighbours among the candidates, for match='graph'."""
     n = len(cand)
     dx, dy = cand[:, 0] - q[0], cand[:, 1] - q[1]
@@ -68,7 +70,7 @@ def run(q, q_id, k: int, cand: np.ndarray, cand_ids: np.ndarray, points: np.ndar
     visited, link = np.zeros(n, bool), np.full(n, -1)
     w_at, w_r, w_member, w_d = np.zeros(n, int), np.zeros(n), np.zeros(n, bool), np.zeros(n)
     count = 0
-    slot = np.full(n, -1)
+    slot, late = np.full(n, -1), []
     for i in out.order:
         visited[i] = True
         if d2[i] == 0 or "semi" in rules and d[i] <= r_q / 2 * (1 - MARGIN):
@@ -91,12 +93,25 @@ def run(q, q_id, k: int, cand: np.ndarray, cand_ids: np.ndarray, points: np.ndar
                 link[i] = w_at[tried[hit[0]]]
                 out.member[i], out.rule[i], out.witness[i] = yes[hit[0]], "positive" if yes[hit[0]] else "negative", link[i]
                 continue
+        if 2 * d[i] > reach * (1 + MARGIN):  # its circle sticks out of the bundle: no radius from here
+            late.append(i)
+            continue
         r2 = knn_radius2(points, ids, cand[i], cand_ids[i], k)
         out.member[i], out.rule[i], out.radius[i] = d2[i] <= r2, "knn", np.sqrt(r2)
         # an accepted witness's circle may leave the bundle: a smaller radius is as sound for the ellipse
         r = min(np.sqrt(r2), reach - d[i]) if out.member[i] else np.sqrt(r2)
         w_at[count], w_r[count], w_member[count], w_d[count], slot[i] = i, r, out.member[i], d[i], count
         count += 1
+    # later witnesses may settle what was deferred
+    for i in late:
+        dw = np.sqrt(((cand[w_at[:count]] - cand[i]) ** 2).sum(axis=1))
+        out.tested += count
+        yes = w_member[:count] & (d[i] + dw <= w_r[:count] * (1 - MARGIN)) & ("positive" in rules)
+        no = ~w_member[:count] & (d[i] - dw > w_r[:count] * (1 + MARGIN)) & ("negative" in rules)
+        hit = np.flatnonzero(yes | no)
+        out.rule[i] = "deferred"
+        if len(hit):
+            out.member[i], out.rule[i], out.witness[i] = yes[hit[0]], "positive" if yes[hit[0]] else "negative", w_at[hit[0]]
     return out
 
 

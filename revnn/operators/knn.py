@@ -7,12 +7,14 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from revnn.functions.geometry import dist2
 from revnn.plans import grid
 from revnn.plans.cuts import cut
+from revnn.plans.density import Density, density
 
 OTHER = "q_id IS NULL OR id <> q_id"
 
@@ -28,8 +30,14 @@ def ranked(d: DataFrame) -> DataFrame:
     return d.withColumn("rank", F.rank().over(w)).where("rank <= k").select("qid", "id", F.sqrt("d2").alias("dist"), "rank")
 
 
-def knn_grid(p: DataFrame, q: DataFrame) -> DataFrame:
-    """As :func:`knn_exact` without a nested-loop join: discs grow until they hold k points or the whole box."""
+def knn_grid(p: DataFrame, q: DataFrame, spread: Density | None = None) -> DataFrame:
+    """As :func:`knn_exact` without a nested-loop join: discs grow until they hold k points or the whole box.
+
+    A bounded batch starts with discs that fit the density around each query."""
+    rows = grid.bounded(q)
+    if rows is not None:
+        spread = spread or density(p)
+        return _batch(p, q, rows, spread) if rows and spread.box[0] else ranked(q.join(p, F.lit(False)).withColumn("d2", F.lit(0.0)))
     box = grid.box_of(p)
     q = cut(q)
     k = q.agg(F.max("k")).first()[0] or 1
@@ -51,6 +59,26 @@ def knn_grid(p: DataFrame, q: DataFrame) -> DataFrame:
     return reduce(DataFrame.unionByName, done)
 
 
+def _batch(p: DataFrame, q: DataFrame, rows: list, spread: Density) -> DataFrame:
+    box, done = spread.box, []
+    xy, k = np.array([(r["qx"], r["qy"]) for r in rows], float), np.array([r["k"] for r in rows], float)
+    far = np.hypot(np.maximum(xy[:, 0] - box[1], box[3] - xy[:, 0]), np.maximum(xy[:, 1] - box[2], box[4] - xy[:, 1])) * (1 + 1e-9)
+    radii = spread.radius(xy, k + 3 * np.sqrt(k) + 2)
+    while rows:
+        near = grid.within_each(p, rows, q, radii.tolist(), box).where(OTHER)
+        near = near.withColumn("rank", F.rank().over(Window.partitionBy("qid").orderBy("d2"))).where(F.col("rank") <= int(max(r["k"] for r in rows)))
+        near = cut(near.where("rank <= k").select("qid", "id", F.sqrt("d2").alias("dist"), "rank"))
+        held = {r.qid: r["count"] for r in near.groupBy("qid").count().collect()}
+        full = np.array([held.get(r["qid"], 0) >= r["k"] or a <= b for r, a, b in zip(rows, far, radii, strict=True)])
+        if full.all():
+            done.append(near)
+            break
+        if full.any():
+            done.append(near.join(F.broadcast(grid.local([r for r, f in zip(rows, full, strict=True) if f], q).select("qid")), "qid", "left_semi"))
+        rows, radii, far = [r for r, f in zip(rows, full, strict=True) if not f], 2 * radii[~full], far[~full]
+    return reduce(DataFrame.unionByName, done)
+
+
 def knn_radius(p: DataFrame, ids: DataFrame | None, k: int, method: str = "grid") -> DataFrame:
     """(id, k, r): distance to the k-th of the other points, infinite if there are fewer. ids: (id), or all points."""
     some = p if ids is None else p.join(ids.select("id"), "id", "left_semi")

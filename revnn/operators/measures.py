@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from statistics import median
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -13,11 +14,17 @@ from revnn.plans import grid
 from revnn.plans.cuts import cut
 
 
-def timed(df: DataFrame) -> float:
-    """Milliseconds of running a plan to its end without keeping anything."""
-    t = time.perf_counter()
-    df.write.format("noop").mode("overwrite").save()
-    return (time.perf_counter() - t) * 1000
+def timed(run, warm: bool = False, repeats: int = 1) -> float:
+    """Milliseconds from calling `run`, which builds a plan (and may run jobs for it), to that plan's end.
+
+    The plan's rows are kept nowhere. warm: one run before the clock starts; of several repeats the median counts."""
+    took = []
+    for n in range(repeats + warm):
+        t = time.perf_counter()
+        run().write.format("noop").mode("overwrite").save()
+        if n or not warm:
+            took.append((time.perf_counter() - t) * 1000)
+    return median(took)
 
 
 def decision_mix(decisions: DataFrame) -> DataFrame:
@@ -107,5 +114,5 @@ def spark_metrics(df: DataFrame, name: str = "revnn") -> tuple[dict, float]:
     from pyspark.sql import Observation
 
     o = Observation(name)
-    ms = timed(df.observe(o, F.count(F.lit(1)).alias("rows")))
+    ms = timed(lambda: df.observe(o, F.count(F.lit(1)).alias("rows")))
     return o.get, ms

@@ -16,10 +16,13 @@ from revnn.operators.candidates import six_sector
 from revnn.operators.knn import knn_radius, knn_self
 from revnn.plans import grid
 from revnn.plans.cuts import cut
+from revnn.plans.density import density
 
 DECISIONS = "qid int, id long, member boolean, decision string, witness_id long, r double, visit_ord int"
 #: Points of a bundle beyond which a query goes through waves instead of one task.
 MAX_BUNDLE = 2_000_000
+#: Radius of a bundle in distances of the 3k-th candidate, at most; all candidates of an inner query lie within half of it.
+TIGHT = 4.0
 
 
 def rknn_definition(p: DataFrame, q: DataFrame) -> DataFrame:
@@ -51,7 +54,53 @@ def conic_decisions(p: DataFrame, q: DataFrame, order: str = "boundary_out", mat
 
     match='graph' reaches witnesses through visited neighbours of the neighbour index (id, nbrs); 'exhaustive' tries
     all. plan: 'bundle' ships what one query needs to one task, 'wave' joins instead, 'auto' takes waves for queries
-    whose bundle is larger than max_bundle."""
+    whose bundle may be larger than max_bundle. Waves visit in the standard order and try all witnesses: another order
+    or matching changes how many witnesses there are, never the answer.
+
+    Bundles are tightened: they end at TIGHT times the distance of the 3k-th candidate, so that a query at an edge,
+    whose emptier sectors look far, ships no more than others. Candidates whose circle sticks out are deferred: conics
+    of the others are tried first, and the few that stay open get a kNN query of their own on the grid."""
+    rows = grid.bounded(q)
+    if rows is None or plan == "wave":
+        return _decisions_by_joins(p, q, order, match, rules, index, plan, candidates, max_bundle)
+    spread = density(p)
+    c = six_sector(p, q, spread=spread) if candidates is None else candidates
+    if not rows or not spread.box[0]:
+        return c.limit(0).selectExpr("CAST(qid AS INT) AS qid", "id", "false AS member", "'' AS decision", "CAST(NULL AS LONG) AS witness_id", "d2 AS r", "0 AS visit_ord")
+    near = F.sort_array(F.collect_list("d2"))
+    at = c.join(F.broadcast(grid.local(rows, q).select("qid", "k")), "qid").groupBy("qid", "k").agg(near.alias("d2"))
+    nth = lambda n: F.try_element_at("d2", n.cast("int"))
+    state = {r.qid: r for r in at.select("qid", F.sqrt(F.array_max("d2")).alias("far"), F.sqrt(F.coalesce(nth(3 * F.col("k")), F.array_max("d2"))).alias("mid"), F.coalesce(F.sqrt(nth(F.col("k"))), F.lit(float("inf"))).alias("r_q")).collect()}
+    rows = [r for r in rows if r["qid"] in state]
+    reach = [min(2 * state[r["qid"]].far, TIGHT * state[r["qid"]].mid) for r in rows]
+    r_q = [state[r["qid"]].r_q for r in rows]
+    xy = np.array([(r["qx"], r["qy"]) for r in rows], float).reshape(-1, 2)
+    ks = np.array([r["k"] for r in rows], float)
+    bundle = grid.within_each(p, rows, q, reach, spread.box).select("qid", "id", "x", "y")
+    if plan == "auto" and (np.pi * np.square(reach) * spread.around(xy, ks) > max_bundle / 8).any():
+        size = {r.qid: r["count"] for r in bundle.groupBy("qid").count().collect()}
+        large = [r for r in rows if size.get(r["qid"], 0) > max_bundle]
+        if large:
+            rest = [r for r in rows if size.get(r["qid"], 0) <= max_bundle]
+            some = lambda part: (grid.local(part, q), c.join(F.broadcast(grid.local(part, q).select("qid")), "qid", "left_semi"))
+            out = waves(p, *some(large), rules)
+            return out if not rest else conic_decisions(p, some(rest)[0], order, match, rules, index, "bundle", some(rest)[1]).unionByName(out)
+    left = c.select("qid", "id", "x", "y").join(F.broadcast(grid.local(rows, q, reach=reach, r_q=r_q)), "qid").select("qid", "id", "x", "y", "qx", "qy", "q_id", "k", "reach", "r_q")
+    if all(2 * state[r["qid"]].far <= x for r, x in zip(rows, reach, strict=True)):
+        return _settled(left, bundle, order, match, rules, index)
+    # deferred candidates: few, and radii need points beyond the bundle
+    d = cut(_settled(left, bundle, order, match, rules, index))
+    late = cut(d.where("decision = 'deferred'").select("qid", "id").join(c.select("qid", "id", "x", "y", "d2"), ["qid", "id"]).join(F.broadcast(grid.local(rows, q).select("qid", "k")), "qid"))
+    if late.isEmpty():
+        return d
+    r = late.join(verify.radii(late, p), ["id", "k"]).select("qid", "id", "d2", F.col("r").alias("r2_"))
+    d = d.join(r, ["qid", "id"], "left")
+    here = F.col("decision") == "deferred"
+    return d.select("qid", "id", F.when(here, F.sqrt("d2") <= F.col("r2_")).otherwise(F.col("member")).alias("member"), F.when(here, F.lit("knn")).otherwise(F.col("decision")).alias("decision"), "witness_id", F.when(here, F.col("r2_")).otherwise(F.col("r")).alias("r"), "visit_ord")
+
+
+def _decisions_by_joins(p, q, order, match, rules, index, plan, candidates, max_bundle) -> DataFrame:
+    """For batches of queries that no driver should hold, and for waves."""
     box = grid.box_of(p)
     q = cut(q)
     c = cut(six_sector(p, q, box=box) if candidates is None else candidates)
@@ -68,7 +117,11 @@ def conic_decisions(p: DataFrame, q: DataFrame, order: str = "boundary_out", mat
             some = lambda d, how: d.join(large, "qid", how)
             rest = conic_decisions(p, some(q, "left_anti"), order, match, rules, index, "bundle", some(c, "left_anti"))
             return rest.unionByName(waves(p, some(q, "left_semi"), some(c, "left_semi"), rules))
-    left = c.select("qid", "id", "x", "y").join(asked.select("qid", "qx", "qy", "q_id", "k", "reach", "r_q"), "qid")
+    return _settled(c.select("qid", "id", "x", "y").join(asked.select("qid", "qx", "qy", "q_id", "k", "reach", "r_q"), "qid"), bundle, order, match, rules, index)
+
+
+def _settled(left: DataFrame, bundle: DataFrame, order: str, match: str, rules, index: DataFrame | None) -> DataFrame:
+    """The cascade over candidates (with their query's columns) and bundles, a query at a time."""
     if match == "graph":
         if index is None:
             raise ValueError("match='graph' needs a neighbour index")

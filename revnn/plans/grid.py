@@ -6,10 +6,11 @@ turns "within radius" into a hash join on (cx, cy) with a residual distance test
 
 from __future__ import annotations
 
-from math import sqrt
+from math import floor, log2, sqrt
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from revnn.functions.geometry import dist2
 
@@ -45,6 +46,46 @@ def zorder(cx: Column, cy: Column, bits: int = 20) -> Column:
     return z
 
 
+def bounded(q: DataFrame) -> list | None:
+    """The query rows, if there are at most BROADCAST_QUERIES of them; else None."""
+    rows = q.limit(BROADCAST_QUERIES + 1).collect()
+    return rows if len(rows) <= BROADCAST_QUERIES else None
+
+
+def local(rows: list, like: DataFrame, **more: list) -> DataFrame:
+    """Rows on the driver as a DataFrame with further double columns; nothing runs to read it."""
+    schema = StructType([*like.schema.fields, *(StructField(c, DoubleType()) for c in more)])
+    return like.sparkSession.createDataFrame([(*r, *x) for r, *x in zip(rows, *more.values(), strict=True)], schema)
+
+
+#: Powers of two between the smallest and the largest radius of a batch that have grids of their own.
+LEVELS = 12
+
+
+def within_each(p: DataFrame, rows: list, like: DataFrame, radii: list[float], box, **more: list) -> DataFrame:
+    """As :func:`within` for a :func:`bounded` batch with a radius (column _r) for each of its rows.
+
+    Radii that share a power of two share a grid, so a disc explodes to about 5 x 5 cells whatever the others are; a
+    point is looked up once for each grid. `more` are further columns of the batch."""
+    exact = [int(floor(log2(max(r, 1e-300)))) for r in radii]
+    least = max(exact) - LEVELS + 1
+    levels = [max(u, least) for u in exact]
+    used = sorted(set(levels))
+    side, r = F.pow(F.lit(2.0), F.col("_level") + 1), F.col("_r")
+
+    def span(v: str, lo: float, hi: float) -> Column:
+        first = F.greatest(F.floor((F.col(v) - r) / side), F.floor(F.lit(lo) / side)).cast("long")
+        last = F.least(F.floor((F.col(v) + r) / side), F.floor(F.lit(hi) / side)).cast("long")
+        return F.when(first <= last, F.sequence(first, last)).otherwise(F.array().cast("array<bigint>"))
+
+    ask = local(rows, like, _r=list(map(float, radii)), _level=list(map(float, levels)), **more).withColumn("_level", F.col("_level").cast("int"))
+    ask = ask.withColumn("cx", F.explode(span("qx", box[1], box[3]))).withColumn("cy", F.explode(span("qy", box[2], box[4])))
+    at = p.withColumn("_level", F.explode(F.array(*map(F.lit, used))) if len(used) > 1 else F.lit(used[0]))
+    at = at.withColumns({"cx": F.floor(F.col("x") / side).cast("long"), "cy": F.floor(F.col("y") / side).cast("long")})
+    found = at.join(F.broadcast(ask), ["_level", "cx", "cy"]).drop("_level", "cx", "cy")
+    return found.withColumn("d2", dist2("x", "y", "qx", "qy")).where(F.col("d2") <= r * r)
+
+
 def within(p: DataFrame, q: DataFrame, radius: str, side: float, n_queries: int | None = None, box=None) -> DataFrame:
     """Rows of q joined with the points at most `radius` away (squared distance d2), by cells of `side`.
 

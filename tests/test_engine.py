@@ -267,3 +267,38 @@ def test_entry_point(spark):
     q, o = e.queries(), e.oracle_sql()
     assert set(o) <= set(q)
     assert e.entry(spark).count() > 0
+
+
+def test_bundles_are_tightened_and_late_candidates_settled(spark):
+    """Queries at the edge of a set: far candidates are deferred, and the answer is the definition's."""
+    rnd = np.random.default_rng(3)
+    xy = np.concatenate([rnd.random((300, 2)) * [1.0, 0.02], rnd.random((40, 2))])
+    p = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(xy)], "id long, x double, y double")
+    q = spark.createDataFrame([(n + 1, float(xy[i][0]), float(xy[i][1]), i, 3) for n, i in enumerate([0, 5, 299, 310, 339])], "qid int, qx double, qy double, q_id long, k int")
+    d = rknn.conic_decisions(p, q)
+    rows = d.collect()
+    assert {r.decision for r in rows} <= {"semi", "positive", "negative", "knn"}
+    assert {(r.qid, r.id) for r in rows if r.member} == {tuple(r) for r in rknn.rknn_definition(p, q).collect()}
+
+
+def test_density_follows_the_points(spark):
+    from revnn.plans.density import density
+
+    rnd = np.random.default_rng(4)
+    xy = np.concatenate([rnd.normal(0.2, 0.001, (5000, 2)), rnd.random((1000, 2))])
+    p = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(xy)], "id long, x double, y double")
+    d = density(p)
+    dense, thin = d.radius(np.array([[0.2, 0.2], [0.8, 0.8]]), np.array([60.0, 60.0]))
+    assert d.counts.sum() == 6000 and dense < 0.02 < thin
+    held = [int((((xy - at) ** 2).sum(axis=1) <= r * r).sum()) for at, r in (([0.2, 0.2], dense), ([0.8, 0.8], thin))]
+    assert 20 <= held[0] <= 600 and 20 <= held[1] <= 180
+
+
+def test_clock_holds_eager_work(spark):
+    import time
+
+    def slow():
+        time.sleep(0.2)
+        return spark.range(1)
+
+    assert measures.timed(slow) >= 200
