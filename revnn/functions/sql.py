@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import pandas_udf
+from pyspark.sql.functions import pandas_udf, udtf
 
 FUNCTIONS = {
     "revnn_dist(ax DOUBLE, ay DOUBLE, bx DOUBLE, by DOUBLE) RETURNS DOUBLE": "sqrt((ax - bx) * (ax - bx) + (ay - by) * (ay - by))",
@@ -17,11 +18,61 @@ FUNCTIONS = {
         WHEN dy = 0 AND dx < 0 THEN 3
         ELSE CASE WHEN dx < 0 AND dy - 1.7320508075688772D * dx > 0 THEN 3 WHEN dy + 1.7320508075688772D * dx < 0 THEN 4 ELSE 5 END END""",
     "revnn_upper_arc(d DOUBLE, angle DOUBLE) RETURNS DOUBLE": "CASE WHEN angle >= pi() / 2 THEN DOUBLE('Infinity') ELSE d / (2 * cos(angle)) END",
+    "revnn_lower_arc(d DOUBLE, angle DOUBLE) RETURNS DOUBLE": "CASE WHEN cos(angle) <= 1e-12D THEN DOUBLE('Infinity') ELSE d / (2 * cos(angle)) END",
+    # bits of two non-negative cell numbers below 2**20, interleaved: near cells, near keys
+    "revnn_zkey(cx BIGINT, cy BIGINT) RETURNS BIGINT": "aggregate(sequence(0, 19), 0L, (z, i) -> z | shiftleft(shiftright(cx, i) & 1L, 2 * i) | shiftleft(shiftright(cy, i) & 1L, 2 * i + 1))",
     "revnn_theory_verified(k INT) RETURNS DOUBLE": "4 * sqrt(pi() * k)",
     "revnn_theory_accessed(k INT) RETURNS DOUBLE": "6 * k + 2 * sqrt(6 * pi() * k)",
 }
 
 
+@udtf(returnType="qid INT, id BIGINT, member BOOLEAN")
+class AnswerBundle:
+    """revnn_rknn(TABLE(bundle) PARTITION BY qid): members among a query's bundle, which has columns
+    (qid, qx, qy, q_id, k, id, x, y) and holds every point that can matter."""
+
+    def __init__(self):
+        self.rows = []
+
+    def eval(self, row):
+        self.rows.append((row["qid"], row["qx"], row["qy"], row["q_id"], row["k"], row["id"], row["x"], row["y"]))
+
+    def terminate(self):
+        if not self.rows:
+            return
+        qid, qx, qy, q_id, k = self.rows[0][:5]
+        ids = np.array([r[5] for r in self.rows])
+        xy = np.array([r[6:] for r in self.rows], float)
+        for i, place in enumerate(xy):
+            if ids[i] != q_id:
+                d2 = ((xy - place) ** 2).sum(axis=1)
+                closer = int((d2[ids != ids[i]] < (place[0] - qx) ** 2 + (place[1] - qy) ** 2).sum())
+                yield qid, int(ids[i]), closer < k
+
+
+@udtf(returnType="src BIGINT, dst BIGINT")
+class LinkNeighbors:
+    """revnn_neighbors(TABLE(points) PARTITION BY ...): Voronoi neighbours within each group of points (id, x, y)."""
+
+    def __init__(self):
+        self.rows = []
+
+    def eval(self, row):
+        self.rows.append((row["id"], row["x"], row["y"]))
+
+    def terminate(self):
+        from revnn.operators.voronoi import clip
+
+        ids = np.array([r[0] for r in self.rows])
+        xy = np.array([r[1:] for r in self.rows], float).reshape(-1, 2)
+        box = (*xy.min(axis=0), *xy.max(axis=0)) if len(xy) else None
+        for i in range(len(xy)):
+            other = np.flatnonzero(ids != ids[i])
+            _, near, _ = clip(xy[i], xy[other], box, np.inf)
+            for j in near:
+                yield int(ids[i]), int(ids[other[j]])
+
+
 def register(spark: SparkSession) -> None:
     """Temporary SQL functions revnn_*, the grouped aggregate revnn_kth and the scalar revnn_ring_area."""
     for head, body in FUNCTIONS.items():
@@ -40,5 +91,7 @@ def register(spark: SparkSession) -> None:
 
         return ring.map(area)
 
+    spark.udtf.register("revnn_rknn", AnswerBundle)
+    spark.udtf.register("revnn_neighbors", LinkNeighbors)
     spark.udf.register("revnn_kth", kth)
     spark.udf.register("revnn_ring_area", ring_area)

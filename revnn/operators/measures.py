@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from revnn.functions import theory
-from revnn.operators import baselines, candidates, rknn, verify
+from revnn.operators import baselines, candidates, knn, rknn, verify
 from revnn.plans import grid
 from revnn.plans.cuts import cut
 
@@ -50,12 +50,16 @@ def loglog_slope(df: DataFrame, k: str, value: str, *by: str) -> DataFrame:
     return df.groupBy(*by).agg(F.regr_slope(F.log(value), F.log(k)).alias("slope"))
 
 
-def boundary_points(p: DataFrame, q: DataFrame, c: DataFrame) -> DataFrame:
+def boundary_points(p: DataFrame, q: DataFrame) -> DataFrame:
     """(qid, n_boundary, area, circumference): points within one mean spacing of the query's kNN circle."""
-    n, x0, y0, x1, y1 = grid.box_of(p)
+    q = cut(q)
+    n, x0, y0, x1, y1 = box = grid.box_of(p)
     spacing = ((x1 - x0) * (y1 - y0) / max(n, 1)) ** 0.5
-    d = c.join(verify.query_radius(c, q), "qid")
-    near = d.groupBy("qid", "r_q").agg(F.sum((F.abs(F.sqrt("d2") - F.col("r_q")) <= spacing).cast("int")).alias("n_boundary"))
+    r = knn.knn_grid(p, q).groupBy("qid").agg(F.max("dist").alias("r_q"))
+    asked = cut(q.join(r, "qid").withColumn("_r", (F.col("r_q") + spacing) * (1 + 1e-9)))
+    m, side = asked.agg(F.count(F.lit(1)), F.max("_r")).first()
+    near = grid.within(p, asked, "_r", side or 1.0, m, box).where(knn.OTHER)
+    near = near.groupBy("qid", "r_q").agg(F.sum((F.abs(F.sqrt("d2") - F.col("r_q")) <= spacing).cast("long")).alias("n_boundary"))
     return near.select("qid", "n_boundary", (F.pi() * F.col("r_q") * F.col("r_q")).alias("area"), (2 * F.pi() * F.col("r_q")).alias("circumference"))
 
 
@@ -76,30 +80,36 @@ def region_coverage(c: DataFrame, w: DataFrame) -> DataFrame:
     return g.select("qid", "n_candidates", (F.col("p") / F.col("n_candidates")).alias("positive"), (F.col("n") / F.col("n_candidates")).alias("negative"), (F.col("e") / F.col("n_candidates")).alias("either"))
 
 
+def accessed(c: DataFrame, q: DataFrame, index: DataFrame) -> DataFrame:
+    """(qid, n_accessed): candidates and their neighbours in the index, each once, without the query itself."""
+    near = c.select("qid", "id").join(index.select("id", "nbrs.id").toDF("id", "near"), "id").select("qid", F.explode(F.array_append("near", F.col("id"))).alias("id"))
+    near = near.join(q.select("qid", "q_id"), "qid").where("q_id IS NULL OR id <> q_id")
+    return near.groupBy("qid").agg(F.count_distinct("id").alias("n_accessed"))
+
+
 def costs(p: DataFrame, q: DataFrame, index: DataFrame | None = None) -> DataFrame:
     """(algorithm, k, qid, n_candidates, n_verified, n_accessed, n_result) for the engine and its competitors.
 
     verified: candidates with a check of their own (a kNN query, or for arc bounds a count). accessed: with an index,
-    candidates and their neighbours; for arc bounds the points within twice the largest bound."""
+    candidates and their neighbours; for arc bounds the points within twice the largest bound. Each algorithm's result
+    is its own: six sectors answer by a kNN radius for each candidate, arc bounds by counting."""
+    q = cut(q)
     c = cut(candidates.six_sector(p, q))
     n_cand = c.groupBy("qid").agg(F.count(F.lit(1)).alias("n_candidates"))
-    if index is not None:
-        seen = c.select("qid", "id").join(index.select("id", "nbrs.id").toDF("id", "near"), "id").select("qid", F.explode(F.array_append("near", F.col("id"))).alias("id")).join(q.select("qid", "q_id"), "qid").where("q_id IS NULL OR id <> q_id")
-        n_acc = seen.groupBy("qid").agg(F.count_distinct("id").alias("n_accessed"))
-    else:
-        n_acc = n_cand.select("qid", F.lit(None).cast("long").alias("n_accessed"))
-    d = cut(rknn.conic_decisions(p, q, candidates=c, match="graph" if index is not None else "exhaustive", index=index))
-    ours = d.groupBy("qid").agg(F.sum((F.col("decision") == "knn").cast("int")).alias("n_verified"), F.sum(F.col("member").cast("int")).alias("n_result"))
+    n_acc = accessed(c, q, index) if index is not None else n_cand.select("qid", F.lit(None).cast("long").alias("n_accessed"))
     frame = lambda name, f: f.join(q.select("qid", "k"), "qid").select(F.lit(name).alias("algorithm"), "k", "qid", *(F.col(x).cast("long").alias(x) for x in ("n_candidates", "n_verified", "n_accessed", "n_result")))
-    conic = frame("conic", n_cand.join(n_acc, "qid", "left").join(ours, "qid", "left"))
-    six = frame("six_sector", n_cand.join(n_acc, "qid", "left").join(ours.select("qid", "n_result"), "qid", "left").withColumn("n_verified", F.col("n_candidates")))
+    members = F.sum(F.col("member").cast("int")).alias("n_result")
+    d = rknn.conic_decisions(p, q, candidates=c, match="graph" if index is not None else "exhaustive", index=index)
+    ours = d.groupBy("qid").agg(F.sum((F.col("decision") == "knn").cast("int")).alias("n_verified"), members)
+    conic = cut(frame("conic", n_cand.join(n_acc, "qid", "left").join(ours, "qid", "left")))
+    one = verify.by_knn(c, p, q).groupBy("qid").agg(F.count("r").alias("n_verified"), members)
+    six = cut(frame("six_sector", n_cand.join(n_acc, "qid", "left").join(one, "qid", "left")))
     bounds, pruners = baselines.arc_scan(p, q)
     bounds, pruners = cut(bounds), cut(pruners)
-    ac = cut(baselines.arc_candidates(bounds, pruners))
-    m = baselines.arc_verify(ac, bounds, pruners, q).groupBy("qid").agg(F.sum(F.col("member").cast("int")).alias("n_result"))
+    m = baselines.arc_verify(baselines.arc_candidates(bounds, pruners), bounds, pruners, q).groupBy("qid").agg(F.count(F.lit(1)).alias("n_verified"), members)
     top = bounds.groupBy("qid").agg(F.max("bound").alias("top"))
     read = pruners.select("qid", "id", "d2").distinct().join(top, "qid").where("sqrt(d2) <= 2 * top").groupBy("qid").agg(F.count(F.lit(1)).alias("n_accessed"))
-    arc = frame("arc_bound", ac.groupBy("qid").agg(F.count(F.lit(1)).alias("n_candidates")).join(read, "qid", "left").join(m, "qid", "left").withColumn("n_verified", F.col("n_candidates")))
+    arc = cut(frame("arc_bound", m.join(read, "qid", "left").withColumn("n_candidates", F.col("n_verified"))))
     return conic.unionByName(six).unionByName(arc)
 
 

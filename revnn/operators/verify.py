@@ -96,3 +96,20 @@ def is_witness_set(c: DataFrame, w: DataFrame) -> DataFrame:
     left = undecided(c, w).groupBy("qid").agg(F.count(F.lit(1)).alias("n"))
     d = c.select("qid").distinct().join(left, "qid", "left")
     return d.select("qid", F.col("n").isNull().alias("valid"), F.coalesce("n", F.lit(0)).alias("n_undecided"))
+
+
+def boundary_band(c: DataFrame, p: DataFrame, q: DataFrame, share: float = 0.25) -> DataFrame:
+    """(qid, id, member, decision): only candidates near the query's kNN circle become witnesses.
+
+    Those within `share` of its radius get a kNN query of their own; their conics settle what they cover, and what is
+    left open gets a kNN query after all, so the answer is exact whatever the band."""
+    c = cut(c)
+    band = cut(c.join(query_radius(c, q), "qid").where(F.abs(F.sqrt("d2") - F.col("r_q")) <= share * F.col("r_q")).drop("r_q"))
+    known = cut(by_knn(band, p, q))
+    w = known.join(c, ["qid", "id"]).select("qid", F.col("id").alias("witness_id"), F.col("x").alias("wx"), F.col("y").alias("wy"), F.sqrt("d2").alias("wd"), F.col("r").alias("wr"))
+    rest = c.join(known.select("qid", "id"), ["qid", "id"], "left_anti")
+    hit = cut(decides(rest, w).groupBy("qid", "id").agg(F.min("kind").alias("decision")))
+    open_ = cut(rest.join(hit.select("qid", "id"), ["qid", "id"], "left_anti"))
+    out = known.select("qid", "id", "member", F.lit("band").alias("decision"))
+    out = out.unionByName(hit.select("qid", "id", (F.col("decision") == "positive").alias("member"), "decision"))
+    return out.unionByName(by_knn(open_, p, q).select("qid", "id", "member", F.lit("fallback").alias("decision")))

@@ -90,12 +90,12 @@ def _local(box, side: float):
     return build
 
 
-def cells(p: DataFrame, per_cell: int = 60) -> DataFrame:
-    """(id, x, y, ring, nbrs, certified) for every point of a set without equal locations."""
+def cells(p: DataFrame, per_cell: int = 60, only: DataFrame | None = None) -> DataFrame:
+    """(id, x, y, ring, nbrs, certified) for every point of a set without equal locations, or for the ids of `only`."""
     n, box = box_for(p)
     span = max(box[2] - box[0], box[3] - box[1], 1e-9)
     side = max(grid.first_radius((n, *box), per_cell), span * 1e-7)
-    left, done = p.select(F.col("id").alias("own_id")), []
+    left, done = (p if only is None else only).select(F.col("id").alias("own_id")), []
     while True:
         # a cell reads itself and the eight around it; for what that doesn't certify, cells double
         cx, cy = grid.cell("x", "y", side)
@@ -156,13 +156,18 @@ def neighbors_by_intervals(p: DataFrame, box=None) -> DataFrame:
 
 def build_index(p: DataFrame, path: str, version: int = 0) -> DataFrame:
     """Writes the neighbour index: a row for each point with its neighbours, sorted by Z-order key, by super cell."""
-    n, box = box_for(p)
+    return write_index(cells(p).select("id", "x", "y", "nbrs", F.size("nbrs").alias("deg"), "certified"), path, version)
+
+
+def write_index(c: DataFrame, path: str, version: int) -> DataFrame:
+    """Writes rows (id, x, y, nbrs, deg, certified) as one version; other versions at `path` stay."""
+    n, box = box_for(c)
     side = max(max(box[2] - box[0], box[3] - box[1]) / 1024, 1e-12)
-    c = cells(p).select("id", "x", "y", "nbrs", F.size("nbrs").alias("deg"), "certified")
     cx, cy = grid.cell(F.col("x") - box[0], F.col("y") - box[1], side)
     c = c.withColumns({"cell": grid.zorder(cx, cy, 11), "version": F.lit(version)}).withColumn("super_cell", F.shiftright("cell", 16))
-    c.repartition("super_cell").sortWithinPartitions("cell").write.mode("overwrite").partitionBy("version", "super_cell").parquet(path)
-    return read_index(p.sparkSession, path, version)
+    out = c.repartition("super_cell").sortWithinPartitions("cell").drop("version")
+    out.write.mode("overwrite").partitionBy("super_cell").parquet(f"{path}/version={version}")
+    return read_index(c.sparkSession, path, version)
 
 
 def read_index(spark, path: str, version: int | None = None) -> DataFrame:
@@ -173,18 +178,33 @@ def read_index(spark, path: str, version: int | None = None) -> DataFrame:
 
 
 def patch(index: DataFrame, added: DataFrame, removed: DataFrame) -> DataFrame:
-    """The index after points (id, x, y) come and points (id) go: cells they touch are built anew from their surroundings.
+    """The index (id, x, y, nbrs) after points (id, x, y) come and points (id) go, with deg, certified and changed.
 
-    A new point changes the cells of its own neighbours only; a removed one those of its former neighbours."""
+    A removed point changes the cells of its former neighbours only, a new one those of the neighbours that it gets:
+    these cells are built anew from the grid cells around them, all others are taken over. Only where the points'
+    bounding box changes, which every border cell ends at, the whole index is built again."""
     old = index.select("id", "x", "y")
     now = cut(old.join(removed.select("id"), "id", "left_anti").unionByName(added.select("id", "x", "y")))
-    fresh = cut(cells(now).select("id", "x", "y", "nbrs", F.size("nbrs").alias("deg"), "certified"))
+    shape = lambda d: d.select("id", "x", "y", "nbrs", F.size("nbrs").alias("deg"), "certified")
+    if box_for(old)[1] != box_for(now)[1]:
+        fresh = cut(shape(cells(now)))
+    else:
+        left = index.join(removed.select("id"), "id", "left_semi").select(F.explode("nbrs.id").alias("id"))
+        # an index may name a pair at one of its ends only, where cells meet in a corner
+        linked = index.select("id", F.explode("nbrs.id").alias("to")).join(removed.select(F.col("id").alias("to")), "to", "left_semi").select("id")
+        first = cut(left.unionByName(linked).unionByName(added.select("id")).distinct().join(now, "id", "left_semi"))
+        built = cut(shape(cells(now, only=first)))
+        reached = built.join(added.select("id"), "id", "left_semi").select(F.explode("nbrs.id").alias("id")).distinct()
+        second = cut(reached.join(first, "id", "left_anti"))
+        fresh = built if second.isEmpty() else cut(built.unionByName(shape(cells(now, only=second))))
     before = index.select("id", F.array_sort(F.transform("nbrs", lambda n: n["id"])).alias("was"))
-    after = fresh.withColumn("now", F.array_sort(F.transform("nbrs", lambda n: n["id"])))
-    return after.join(before, "id", "left").withColumn("changed", ~F.coalesce(F.col("was") == F.col("now"), F.lit(False))).drop("was", "now")
+    after = fresh.join(before, "id", "left").withColumn("now", F.array_sort(F.transform("nbrs", lambda n: n["id"])))
+    after = after.withColumn("changed", ~F.coalesce(F.col("was") == F.col("now"), F.lit(False))).drop("was", "now")
+    same = index.select("id", "x", "y", "nbrs").join(removed.select("id"), "id", "left_anti").join(fresh.select("id"), "id", "left_anti")
+    return after.unionByName(same.select("id", "x", "y", "nbrs", F.size("nbrs").alias("deg"), F.lit(True).alias("certified"), F.lit(False).alias("changed")))
 
 
-def insert_query(index: DataFrame, q: DataFrame, reach: int = 3) -> DataFrame:
+def insert_query(index: DataFrame, q: DataFrame) -> DataFrame:
     """(qid, id): the Voronoi neighbours a free query point would have, from the points around it.
 
     Candidates are the nearest points by doubling discs; clipping certifies when enough were read."""

@@ -10,6 +10,7 @@ from revnn.operators import baselines, candidates, rknn
 from revnn.plans.cuts import cut
 from revnn.queries import D2, N, OTHER, SQL_C, SQL_R, query, setting, sql_base, sql_definition, sql_points
 from revnn.sources import points as S
+from revnn.sources import simulated
 
 for _spec in S.SPECS:
     if not S.SPECS[_spec].distinct:
@@ -104,8 +105,96 @@ def as_of(s, sf):
     rows = e.select("ts", F.col("event_id").alias("id"), F.lit(None).cast("bigint").alias("version"), day.alias("day")).unionByName(v.select("ts", F.lit(None).cast("bigint").alias("id"), "version", F.col("version").alias("day")))
     # within a day a running maximum; a day that begins before its version takes the newest of the days before
     w = Window.partitionBy("day").orderBy("ts", F.col("id").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
-    days = v.select("version").withColumn("next", F.col("version") + 1)
     d = rows.withColumn("v", F.max("version").over(w)).where("id IS NOT NULL")
-    older = cut(days)
-    last = d.select("day").distinct().join(older, F.col("version") < F.col("day"), "left").groupBy("day").agg(F.max("version").alias("old"))
+    # a row for each day: one window over them all is small
+    days = rows.groupBy("day").agg(F.max("version").alias("version"))
+    last = days.select("day", F.max("version").over(Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)).alias("old"))
     return d.join(last, "day", "left").select("id", F.coalesce("v", "old").alias("version"))
+
+
+@query("op_grouping_sets", f"with {sql_base('customer_uniform', 10)}, {SQL_C} select qid, sector, count(*) as n, round(max(sqrt(d2)), 9) as far from c group by grouping sets ((qid), (sector), ())")
+def grouping_sets(s, sf):
+    candidates.six_sector(*setting(s, sf, "customer_uniform", 10)).createOrReplaceTempView("revnn_candidates")
+    return s.sql("SELECT qid, sector, count(*) AS n, round(max(sqrt(d2)), 9) AS far FROM revnn_candidates GROUP BY GROUPING SETS ((qid), (sector), ())")
+
+
+@query("op_pivot_sectors", f"with {sql_base('customer_uniform', 10)}, {SQL_C} select qid, " + ", ".join(f"sum((sector = {i})::int)::bigint as s{i}" for i in range(6)) + " from c group by qid")
+def pivot(s, sf):
+    c = candidates.six_sector(*setting(s, sf, "customer_uniform", 10)).groupBy("qid").pivot("sector", list(range(6))).count()
+    return c.select("qid", *(F.coalesce(F.col(f"`{i}`"), F.lit(0)).alias(f"s{i}") for i in range(6)))
+
+
+@query("op_band_counts", f"with {sql_base('customer_uniform', 10)}, {SQL_C}, d as (select qid, id, sqrt(d2) as d from c) select qid, id, count(*) over (partition by qid order by d range between 0.01 preceding and 0.01 following) as band from d")
+def band_counts(s, sf):
+    """Candidates at nearly the same distance: a range frame on the distance."""
+    frame = "PARTITION BY qid ORDER BY d RANGE BETWEEN 0.01D PRECEDING AND 0.01D FOLLOWING"
+    return candidates.six_sector(*setting(s, sf, "customer_uniform", 10)).select("qid", "id", F.sqrt("d2").alias("d")).selectExpr("qid", "id", f"count(1) OVER ({frame}) AS band")
+
+
+@query("op_sketch_merge", f"with {sql_base('customer_uniform', 10)}, {SQL_C} select count(distinct id) as exact, true as close from c")
+def sketch_merge(s, sf):
+    """Distinct candidates over all queries from mergeable sketches, a sketch for each query; within 5 % of the count."""
+    c = cut(candidates.six_sector(*setting(s, sf, "customer_uniform", 10)).select("qid", "id"))
+    merged = c.groupBy("qid").agg(F.hll_sketch_agg("id", 12).alias("sketch")).agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("n"))
+    exact = c.agg(F.count_distinct("id").alias("exact"))
+    return exact.crossJoin(merged).select("exact", (F.abs(F.col("n") - F.col("exact")) <= 0.05 * F.col("exact") + 1).alias("close"))
+
+
+@query("op_candidate_trend", f"with {sql_base('customer_uniform', 10)}, {SQL_C} select sector, round(corr(rank_in_sector, d2), 6) as corr, round(regr_slope(d2, rank_in_sector), 9) as slope, count(distinct id) as ids from c group by sector")
+def trend(s, sf):
+    """Squared distance grows about linearly with the rank in a sector."""
+    c = candidates.six_sector(*setting(s, sf, "customer_uniform", 10))
+    return c.groupBy("sector").agg(F.round(F.corr("rank_in_sector", "d2"), 6).alias("corr"), F.round(F.regr_slope("d2", "rank_in_sector"), 9).alias("slope"), F.count_distinct("id").alias("ids"))
+
+
+@query("op_decision_trace", f"with m as ({sql_definition('customer_uniform', 10)}) select qid, count(*) as members from m group by qid")
+def decision_trace(s, sf):
+    """A query's decisions as a map id -> rule; members read back from the map and a set of accepted ids."""
+    d = rknn.conic_decisions(*setting(s, sf, "customer_uniform", 10))
+    t = d.groupBy("qid").agg(F.map_from_entries(F.collect_list(F.struct("id", "decision"))).alias("trace"), F.collect_set(F.when(F.col("member"), F.col("id"))).alias("yes"))
+    return t.select("qid", F.size(F.map_filter("trace", lambda i, _: F.array_contains("yes", i))).cast("long").alias("members"))
+
+
+@query("op_json_filter", f"with {sql_base('customer_uniform', 10)}, d as (select q.qid, p.id, rank() over (partition by q.qid order by {D2}) as n from q join p on {OTHER}) select qid, id from d where n <= 3")
+def json_filter(s, sf):
+    """Query points from JSON text; the filter on k is read from its path."""
+    p, q = setting(s, sf, "customer_uniform", 3)
+    text = q.select(F.to_json(F.struct("qid", "qx", "qy", "q_id", F.struct("k").alias("ask"))).alias("j")).where(F.get_json_object("j", "$.ask.k") == "3")
+    back = text.select(F.from_json("j", "qid INT, qx DOUBLE, qy DOUBLE, q_id BIGINT, ask STRUCT<k: INT>").alias("v")).select("v.qid", "v.qx", "v.qy", "v.q_id", "v.ask.k")
+    return baselines.knn_as_rknn(p, back)
+
+
+@query("op_arcs_and_keys_sql", f"with {sql_base('supplier_uniform', 5)} select q.qid, p.id, round(sqrt({D2}) / (2 * cos(0.5)), 9) as upper, round(sqrt({D2}) / (2 * cos(0.25)), 9) as lower, (select sum(((cast(floor(p.x * 16) as bigint) >> i) & 1) << (2 * i))::bigint + sum(((cast(floor(p.y * 16) as bigint) >> i) & 1) << (2 * i + 1))::bigint from range(4) t(i)) as z from q join p on {OTHER}")
+def arcs_sql(s, sf):
+    sqlfunctions.register(s)
+    p, q = setting(s, sf, "supplier_uniform", 5)
+    return q.join(p, F.expr("q_id is null or id <> q_id")).selectExpr(
+        "qid", "id", "round(revnn_upper_arc(revnn_dist(x, y, qx, qy), 0.5D), 9) AS upper", "round(revnn_lower_arc(revnn_dist(x, y, qx, qy), 0.25D), 9) AS lower",
+        "revnn_zkey(revnn_cell(x, y, 0.0625D).cx, revnn_cell(x, y, 0.0625D).cy) AS z",
+    )
+
+
+@query("op_table_functions", sql_definition("supplier_uniform", 5))
+def table_functions(s, sf):
+    """Members by the SQL table function over bundles, a group for each query."""
+    sqlfunctions.register(s)
+    p, q = setting(s, sf, "supplier_uniform", 5)
+    q.join(p).createOrReplaceTempView("revnn_bundles")
+    return s.sql("SELECT qid, id FROM revnn_rknn(TABLE(revnn_bundles) PARTITION BY qid) WHERE member")
+
+
+@query("op_ring_area_and_kth", f"with {sql_base('supplier_uniform', 5)}, d as (select q.qid, sqrt({D2}) as d, row_number() over (partition by q.qid order by {D2}) as n from q join p on {OTHER}) select qid, round(max(d), 9) as kth, 0.5::double as area from d where n <= 5 group by qid")
+def aggregates_sql(s, sf):
+    sqlfunctions.register(s)
+    p, q = setting(s, sf, "supplier_uniform", 5)
+    d = q.join(p, F.expr("q_id is null or id <> q_id")).selectExpr("qid", "k", "revnn_dist(x, y, qx, qy) AS d")
+    triangle = "array(named_struct('x', 0D, 'y', 0D), named_struct('x', 1D, 'y', 0D), named_struct('x', 0D, 'y', 1D))"
+    return d.groupBy("qid").agg(F.expr("revnn_kth(d, k)").alias("kth")).selectExpr("qid", "round(kth, 9) AS kth", f"revnn_ring_area({triangle}) AS area")
+
+
+@query("op_data_source", "select 1000::bigint as n, 0::bigint as apart")
+def data_source(s, sf):
+    """The data source gives the same points as the expressions over a range."""
+    simulated.register(s)
+    a = s.read.format("revnn_uniform").option("n", 1000).load()
+    return a.agg(F.count(F.lit(1)).alias("n")).crossJoin(a.exceptAll(S.uniform(s, 1000)).agg(F.count(F.lit(1)).alias("apart")))

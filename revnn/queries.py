@@ -45,7 +45,7 @@ def sql_points(spec: str) -> str:
 
 def sql_base(spec: str, k: int, free: bool = False) -> str:
     """p(id, x, y), q(qid, qx, qy, q_id, k)."""
-    key = "md5(i::varchar || ':7')" if False else "md5(concat(i, ':7'))"
+    key = "md5(concat(i, ':7'))"
     if free:
         unit = lambda at: f"('0x' || substr({key}, {at}, 8))::bigint / 4294967296.0::double"
         q = f"select i + 1 as qid, {unit(1)} as qx, {unit(9)} as qy, null::bigint as q_id, {k} as k from range({N}) t(i)"
@@ -301,14 +301,11 @@ def m06(s, sf):
     return c.join(verify.query_radius(c, q), "qid").select("qid", "id", (F.row_number().over(w) - 1).alias("visit_ord"))
 
 
-@query("m07_boundary_band")
+@query("m07_boundary_band", sql_definition("customer_uniform", 10))
 def m07(s, sf):
-    """Only candidates near the kNN circle as witnesses: how many are left open."""
+    """Only candidates near the kNN circle as witnesses, kNN queries for what these leave open."""
     p, q = setting(s, sf, "customer_uniform", 10)
-    c = cut(candidates.six_sector(p, q))
-    band = c.join(verify.query_radius(c, q), "qid").where(F.abs(F.sqrt("d2") - F.col("r_q")) <= 0.25 * F.col("r_q")).drop("r_q")
-    w = cut(verify.as_witnesses(cut(band), p, q))
-    return verify.is_witness_set(c, w).join(w.groupBy("qid").agg(F.count(F.lit(1)).alias("n_witnesses")), "qid", "left")
+    return verify.boundary_band(candidates.six_sector(p, q), p, q).where("member").select("qid", "id")
 
 
 @query("m08_smallest_witness_sets")
@@ -431,10 +428,12 @@ query("a10_decision_mix")(lambda s, sf: measures.decision_mix(rknn.conic_decisio
 query("a11_expansion_recall")(lambda s, sf: m11(s, sf).groupBy("expand").agg(F.avg("recall").alias("recall"), F.avg("n_seen").alias("n_seen"), F.avg("n_expanded").alias("n_expanded")))
 
 
-@query("a13_boundary")
+@query("a13_boundary", f"""with {sql_base('orders_uniform', 100)}, d as materialized (select q.qid, {D2} as d2, row_number() over (partition by q.qid order by {D2}, p.id) as n from q join p on {OTHER}),
+rq as (select qid, sqrt(max(d2)) as r_q from d where n <= 100 group by qid), b as (select sqrt((max(x) - min(x)) * (max(y) - min(y)) / count(*)) as gap from p)
+select qid, sum((abs(sqrt(d2) - r_q) <= gap)::int)::bigint as n_boundary, round(pi() * r_q * r_q, 9) as area, round(2 * pi() * r_q, 9) as circumference from d join rq using (qid) cross join b group by qid, r_q""")
 def a13(s, sf):
     p, q = setting(s, sf, "orders_uniform", 100)
-    return measures.boundary_points(p, q, cut(candidates.six_sector(p, q)))
+    return measures.boundary_points(p, q).select("qid", "n_boundary", F.round("area", 9).alias("area"), F.round("circumference", 9).alias("circumference"))
 
 
 for _spec in ("orders_uniform", "events_time_value"):

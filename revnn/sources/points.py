@@ -79,6 +79,16 @@ def uniform(spark: SparkSession, n: int, seed: int = 0) -> DataFrame:
     return spark.range(n).selectExpr("id", f"{_md5(key, 1)[0]} AS x", f"{_md5(key, 9)[0]} AS y")
 
 
+#: Size of the published uneven set: distinct geographic places.
+UNEVEN = 49_601
+
+
+def uneven(spark: SparkSession, sf_dir: str, n: int = UNEVEN) -> DataFrame:
+    """n distinct uneven points: event time and value, those of smallest digest; all of them where there are fewer."""
+    p = distinct_points(load(spark, sf_dir, "events_time_value"))
+    return p.orderBy(F.md5(p["id"].cast("string")), "id").limit(n)
+
+
 def file_points(spark: SparkSession, path: str, fmt: str = "csv", **options) -> DataFrame:
     """Points of a csv, json, orc or parquet file with columns id, x, y."""
     return spark.read.format(fmt).options(**options).schema("id LONG, x DOUBLE, y DOUBLE").load(path)

@@ -62,3 +62,47 @@ def test_repeated_rows_count_once(spark, sf, tmp_path):
     w = streams.without_repeats(stream).writeStream.format("memory").queryName("once").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
     w.awaitTermination()
     assert spark.table("once").count() == e.count()
+
+
+def test_standing_queries_follow_the_points(spark, tmp_path):
+    p = S.uniform(spark, 400)
+    q = S.free_queries(spark, 4, 3)
+    for i in range(4):
+        p.where(F.col("id") % 4 == i).coalesce(1).write.parquet(str(tmp_path / "in" / str(i)))
+    stream = spark.readStream.schema(p.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in" / "*"))
+    out = streams.standing_queries(stream, q)
+    w = out.writeStream.format("memory").queryName("standing").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).outputMode("update").start()
+    w.awaitTermination()
+    rows = spark.table("standing").collect()
+    last = {qid: max(r.version for r in rows if r.qid == qid) for qid in {r.qid for r in rows}}
+    assert {(r.qid, r.id) for r in rows if r.version == last[r.qid]} == {(r.qid, r.id) for r in rknn.rknn_definition(p, q).collect()}
+
+
+def test_index_is_kept_up_by_batches(spark, tmp_path):
+    from revnn.operators import voronoi
+
+    p = S.uniform(spark, 120)
+    path = str(tmp_path / "index")
+    voronoi.build_index(p.where("id < 100 OR id > 110"), path, 0)
+    change = p.where("id BETWEEN 100 AND 110").withColumn("op", F.lit("add")).unionByName(p.where("id IN (5, 6)").withColumn("op", F.lit("remove")))
+    change.coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema(change.schema).parquet(str(tmp_path / "in"))
+    streams.maintain_index(stream, path, str(tmp_path / "cp")).awaitTermination()
+    got = voronoi.read_index(spark, path)
+    want = voronoi.cells(p.where("id NOT IN (5, 6)"))
+    ids = lambda d: {(r.id, tuple(sorted(n.id for n in r.nbrs))) for r in d.select("id", "nbrs").collect()}
+    assert got.first().version == 1 and ids(got) == ids(want)
+
+
+def test_queries_meet_points_in_time(spark, tmp_path):
+    t = "timestamp'2024-01-01 00:00:00'"
+    q = spark.range(20).selectExpr("id AS qid", f"{t} + make_interval(0,0,0,0,0,CAST(id AS INT)) AS qt", "id / 20D AS qx", "0.5D AS qy")
+    p = spark.range(200).selectExpr("id", f"{t} + make_interval(0,0,0,0,0,CAST(id % 60 AS INT)) AS ts", "(id % 20) / 20D AS x", "0.5D AS y")
+    for name, d in (("q", q), ("p", p)):
+        d.coalesce(1).write.parquet(str(tmp_path / name))
+    read = lambda name, d: spark.readStream.schema(d.schema).parquet(str(tmp_path / name))
+    out = streams.queries_with_points(read("q", q), read("p", p), 0.1)
+    w = out.writeStream.format("memory").queryName("met").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).outputMode("append").start()
+    w.awaitTermination()
+    want = {(a.qid, b.id) for a in q.collect() for b in p.collect() if 0 <= (b.ts - a.qt).total_seconds() <= 600 and abs(int(b.x / 0.1) - int(a.qx / 0.1)) <= 1}
+    assert {(r.qid, r.id) for r in spark.table("met").collect()} == want
