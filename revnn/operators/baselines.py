@@ -164,17 +164,18 @@ def stored_radii(p: DataFrame, k: int) -> DataFrame:
 
 
 def lookup(r: DataFrame, q: DataFrame) -> DataFrame:
-    """Members from stored radii: which circles hold the query. Circles are exploded to cells; equal k only."""
+    """Members from stored radii: which circles hold the query; equal k only.
+
+    A circle belongs to the grid whose cells are at least as wide as it is, so it touches four of them at most whatever
+    the other radii are; a query looks into its cell of each grid that occurs."""
     r = r.where("r IS NOT NULL")
-    box = grid.box_of(r.select("id", "x", "y"))
-    span = max(box[3] - box[1], box[4] - box[2], 1e-9)
-    side = r.where("r < double('Infinity')").agg(F.percentile_approx("r", 0.9)).first()[0] or span
-    side = max(side, span * 1e-6)
-    finite = r.where("r < double('Infinity')")
-    circles = finite.withColumn("cx", F.explode(F.sequence(*(grid.cell(F.col("x") + s * F.col("r"), F.col("y"), side)[0] for s in (-1, 1)))))
-    circles = circles.withColumn("cy", F.explode(F.sequence(*(grid.cell(F.col("x"), F.col("y") + s * F.col("r"), side)[1] for s in (-1, 1)))))
-    cx, cy = grid.cell("qx", "qy", side)
-    hit = circles.join(q.withColumns({"cx": cx, "cy": cy}), ["cx", "cy", "k"]).where(OTHER).where(F.sqrt(dist2("x", "y", "qx", "qy")) <= F.col("r"))
+    finite = r.where("r < double('Infinity')").withColumn("level", F.ceil(F.log2(F.greatest(2 * F.col("r"), F.lit(1e-300)))).cast("int") + 1)
+    side = F.pow(F.lit(2.0), F.col("level"))
+    span = lambda c: F.explode(F.sequence(F.floor((F.col(c) - F.col("r")) / side), F.floor((F.col(c) + F.col("r")) / side)))
+    circles = finite.withColumn("cx", span("x")).withColumn("cy", span("y"))
+    asked = q.join(finite.select("level").distinct())
+    asked = asked.withColumns({"cx": F.floor(F.col("qx") / side), "cy": F.floor(F.col("qy") / side)})
+    hit = circles.join(asked, ["level", "cx", "cy", "k"]).where(OTHER).where(F.sqrt(dist2("x", "y", "qx", "qy")) <= F.col("r"))
     whole = r.where("r = double('Infinity')").join(q, "k").where(OTHER)
     return hit.select("qid", "id").unionByName(whole.select("qid", "id"))
 

@@ -5,12 +5,14 @@ A point is a member if fewer than k other points are strictly closer to it than
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from revnn.functions.geometry import dist_v
 from revnn.operators import cascade, verify
 from revnn.operators.candidates import six_sector
 from revnn.operators.knn import knn_radius, knn_self
@@ -178,16 +180,22 @@ def waves(p: DataFrame, q: DataFrame, c: DataFrame, rules=cascade.RULES) -> Data
     return out.select(F.col("qid").cast("int").alias("qid"), "id", "member", "decision", "witness_id", "r", F.col("visit_ord").cast("int").alias("visit_ord"))
 
 
-def conic_metric(v: DataFrame, q_ids: DataFrame, k: int, dims: int | None = None, rules=cascade.RULES) -> DataFrame:
+#: Numbers of a table of vectors up to which it goes to each query's task as a whole.
+METRIC_NUMBERS = 2_000_000
+#: Witnesses of a round of :func:`metric_waves`, at most (they are broadcast).
+METRIC_WAVE = 4096
+
+
+def conic_metric(v: DataFrame, q_ids: DataFrame, k: int, dims: int | None = None, rules=cascade.RULES, numbers: int = METRIC_NUMBERS) -> DataFrame:
     """The same rules in d dimensions (they use the triangle inequality only): decisions of every point for each query.
 
-    v: (id, v array<double>), q_ids: (qid, q_id). There are no sectors, so every other point is a candidate; the table
-    goes to each task in Arrow batches of one query, so it has to fit there (checked)."""
-    rows = v.count()
-    if rows > MAX_BUNDLE:
-        raise ValueError("conic_metric holds all vectors in a task")
-    cutv = F.slice("v", 1, dims) if dims else F.col("v")
-    pairs = q_ids.select("qid", "q_id").join(F.broadcast(v.agg(F.collect_list(F.struct("id", cutv.alias("v"))).alias("all"))) if rows <= 10_000 else v.agg(F.collect_list(F.struct("id", cutv.alias("v"))).alias("all")))
+    v: (id, v array<double>), q_ids: (qid, q_id), a bounded set. There are no sectors, so every other point is a
+    candidate. Small tables go whole to a task for each query; larger ones stream past the queries in rounds."""
+    v = v.select("id", (F.slice("v", 1, dims) if dims else F.col("v")).alias("v"))
+    rows, wide = v.agg(F.count(F.lit(1)), F.max(F.size("v"))).first()
+    if rows * (wide or 0) > numbers:
+        return metric_waves(v, q_ids, k, rules)
+    pairs = q_ids.select("qid", "q_id").join(F.broadcast(v.agg(F.collect_list(F.struct("id", "v")).alias("all"))))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -199,6 +207,45 @@ def conic_metric(v: DataFrame, q_ids: DataFrame, k: int, dims: int | None = None
     return pairs.mapInPandas(run, DECISIONS)
 
 
+def metric_waves(v: DataFrame, q_ids: DataFrame, k: int, rules=cascade.RULES) -> DataFrame:
+    """:func:`conic_metric` for any table: each round broadcasts the next witnesses of all queries, finds their radii in
+    one pass over the vectors (each task keeps k distances of a witness), and settles what their conics cover.
+
+    Rounds have twice as many witnesses as the one before, so there are few where conics fade."""
+    v = cut(v)
+    q = cut(q_ids.join(v.withColumnsRenamed({"id": "q_id", "v": "qv"}), "q_id"))
+    n_queries = max(1, q.count())
+    d = cut(v.join(F.broadcast(q)).where("id <> q_id").select("qid", "id", dist_v("v", "qv").alias("d")))
+    first = lambda f, by, key: f.withColumn("_n", F.row_number().over(Window.partitionBy(*by).orderBy(key))).where(F.col("_n") <= k)
+    far = lambda f, by, key: first(f, by, key).groupBy(*by).agg(F.when(F.count(F.lit(1)) >= k, F.max(key)).otherwise(F.lit(float("inf"))).alias("far"))
+    d = d.join(far(d, ["qid"], "d").withColumnRenamed("far", "r_q"), "qid")
+    inner = F.col("d") <= F.col("r_q")
+    turn = Window.partitionBy("qid").orderBy((~inner).cast("int"), F.when(inner, -F.col("d")).otherwise(F.col("d")), "id")
+    d = cut(d.withColumn("visit_ord", (F.row_number().over(turn) - 1).cast("int")))
+    shape = lambda f, member, decision, witness, r: f.select(F.col("qid").cast("int").alias("qid"), "id", member.alias("member"), decision.alias("decision"), witness.cast("long").alias("witness_id"), r.alias("r"), "visit_ord")
+    none, nan = F.lit(None), F.lit(float("nan"))
+    semi = F.col("d") <= F.col("r_q") / 2 * (1 - 1e-12) if "semi" in rules else F.lit(False)
+    done, left, width = [shape(d.where(semi), F.lit(True), F.lit("semi"), none, nan)], cut(d.where(~semi)), 4
+    while not left.isEmpty():
+        nth = F.row_number().over(Window.partitionBy("qid").orderBy("visit_ord"))
+        wave = left.withColumn("_n", nth).where(F.col("_n") <= width).drop("_n")
+        w = cut(wave.join(v, "id").select("qid", F.col("id").alias("wid"), F.col("d").alias("wd"), F.col("v").alias("wv"), "visit_ord"))
+        meet = v.join(F.broadcast(w.select("wid", "wv").dropDuplicates(["wid"]))).where("id <> wid").select("wid", dist_v("v", "wv").alias("dw"))
+        w = cut(w.join(far(meet, ["wid"], "dw").withColumnRenamed("far", "wr"), "wid", "left").withColumn("wr", F.coalesce("wr", F.lit(float("inf")))))
+        member = F.col("wd") <= F.col("wr")
+        done.append(shape(w.withColumnRenamed("wid", "id"), member, F.lit("knn"), none, F.col("wr")))
+        rest = left.join(w.select("qid", F.col("wid").alias("id")), ["qid", "id"], "left_anti")
+        open_ = rest.join(v, "id").join(F.broadcast(w.drop("visit_ord")), "qid").withColumn("dw", dist_v("v", "wv"))
+        yes = member & (F.col("d") + F.col("dw") <= F.col("wr") * (1 - 1e-12)) if "positive" in rules else F.lit(False)
+        no = ~member & (F.col("d") - F.col("dw") > F.col("wr") * (1 + 1e-12)) if "negative" in rules else F.lit(False)
+        hit = open_.where(yes | no).groupBy("qid", "id").agg(F.min(F.struct("wid", member.alias("member"))).alias("by"))
+        settled = cut(rest.join(hit, ["qid", "id"]))
+        done.append(shape(settled, F.col("by.member"), F.when(F.col("by.member"), "positive").otherwise("negative"), F.col("by.wid"), nan))
+        left = cut(rest.join(settled.select("qid", "id"), ["qid", "id"], "left_anti"))
+        width = min(2 * width, max(4, METRIC_WAVE // n_queries))
+    return reduce(DataFrame.unionByName, done)
+
+
 def _metric_one(qid: int, q_id: int, k: int, ids: np.ndarray, x: np.ndarray, rules) -> pd.DataFrame:
     own = np.flatnonzero(ids == q_id)[0]
     to = lambda i: np.sqrt(((x - x[i]) ** 2).sum(axis=1))

@@ -302,3 +302,13 @@ def test_clock_holds_eager_work(spark):
         return spark.range(1)
 
     assert measures.timed(slow) >= 200
+
+
+def test_vectors_in_rounds_equal_the_whole_table(spark):
+    rnd = np.random.default_rng(9)
+    x = rnd.random((80, 3))
+    v = spark.createDataFrame([(i, a.tolist()) for i, a in enumerate(x)], "id long, v array<double>")
+    q = spark.createDataFrame([(1, 3), (2, 50)], "qid int, q_id long")
+    one = lambda d: {(r.qid, r.id) for r in d.where("member").collect()}
+    rounds = rknn.conic_metric(v, q, 4, numbers=0)
+    assert rounds.count() == 2 * 79 and one(rounds) == one(rknn.conic_metric(v, q, 4))
