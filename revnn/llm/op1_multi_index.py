@@ -9,8 +9,9 @@ third of all rows costs no more than another; equal queries are searched once.
 Centroids come from a bounded sample (``SAMPLE`` vectors of smallest hash); every row is indexed. How many entries are
 enough is measured on the same sample: the smallest share of entries at which the walk finds ``AIM`` of the exact
 answers. On vectors without structure that share is large, on clustered ones small; ``share`` can be given instead.
-Cells are dealt into buckets of a bounded number of entries (a crowded cell into several) and queries into blocks;
-only (bucket, block) pairs meet in a task.
+Cells are dealt into buckets of a bounded number of entries (a crowded cell into several) and queries into blocks by
+the bucket that their walk begins in; only (bucket, block) pairs meet in a task, and an entry is copied only to blocks
+of which some query asks for its bucket.
 
 Defined cases: vectors that are null, zero, of another length than the sample's most frequent one, or that hold null
 or non-finite components take no part, nor do rows without an id; a repeated (id, vector) counts once; with fewer
@@ -28,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from revnn.llm.common import cut, table
+from revnn.llm.common import cut, small, table
 
 SAMPLE, AIM, NEAREST = 20_000, 0.96, 20
 BUCKET_ENTRIES, BLOCK_QUERIES, BLOCK_SCORES = 20_000, 4_000, 256
@@ -163,7 +164,6 @@ def search(vectors: DataFrame, is_query: Column, n: int = NEAREST, share: float
     asked = valid.where(is_query).select(F.col("vec_id").alias("query_id"), "k1", "k2").distinct()
     asked = cut(asked.join(entries.select("rep", "k1", "k2", "v"), ["k1", "k2"]).select("query_id", "rep", "v"))
     distinct = asked.groupBy(F.col("rep").alias("q")).agg(F.first("v").alias("qv"))
-    blocks = max(1, -(-distinct.count() // BLOCK_QUERIES))
 
     def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, bucket_of, _ = plan.value
@@ -173,12 +173,20 @@ def search(vectors: DataFrame, is_query: Column, n: int = NEAREST, share: float
                 buckets = bucket_of[cells]
                 here = np.unique(buckets)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([b.column(0)[i].as_py()] * len(here), pa.int64()), pa.array([q] * len(here), pa.list_(pa.float64())), pa.array(here, pa.int64()), pa.array([cells[buckets == x].tolist() for x in here], pa.list_(pa.int64()))],
-                    names=["q", "qv", "bucket", "cells"],
+                    [pa.array([b.column(0)[i].as_py()] * len(here), pa.int64()), pa.array([q] * len(here), pa.list_(pa.float64())), pa.array(here, pa.int64()), pa.array([cells[buckets == x].tolist() for x in here], pa.list_(pa.int64())), pa.array(here == buckets[0])],
+                    names=["q", "qv", "bucket", "cells", "best"],
                 )
 
-    probes = distinct.mapInArrow(probe, "q long, qv array<double>, bucket long, cells array<long>")
-    probes = probes.withColumn("block", F.pmod(F.xxhash64("q"), F.lit(blocks)))
+    probes = cut(distinct.mapInArrow(probe, "q long, qv array<double>, bucket long, cells array<long>, best boolean"))
+    # queries that begin in the same bucket share blocks, so a block asks for few buckets where vectors have clusters
+    begins, before = [], 0
+    for r in sorted(probes.where("best").groupBy("bucket").count().collect(), key=lambda r: r.bucket):
+        begins.append((r.bucket, before, r["count"]))
+        before += r["count"]
+    begins = spark.createDataFrame(begins, "bucket long, before long, many long")
+    turn = F.floor((F.col("before") + F.pmod(F.xxhash64("q"), F.col("many"))) / BLOCK_QUERIES).alias("block")
+    block_of = probes.where("best").select("q", "bucket").join(F.broadcast(begins), "bucket").select("q", turn)
+    probes = cut(probes.drop("best").join(block_of, "q"))
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         _, bucket_of, parts_of = plan.value
@@ -188,7 +196,8 @@ def search(vectors: DataFrame, is_query: Column, n: int = NEAREST, share: float
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(bucket_of[cell]), pa.array(part)], names=[*b.schema.names, "bucket", "part"])
 
     dealt = placed.mapInArrow(deal, "rep long, ids array<long>, v array<double>, cell long, bucket long, part long")
-    dealt = dealt.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
+    # an entry goes to the blocks that ask for its bucket only
+    dealt = dealt.join(small(cut(probes.select("bucket", "block").distinct()).toDF("bucket", "block")), "bucket")
     widest = int(parts_of.max())
     probes = probes.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(widest - 1).cast("long")))) if widest > 1 else probes.withColumn("part", F.lit(0).cast("long"))
 
