@@ -7,8 +7,8 @@ rows of a few longs:
    order of ``cap * size / weight`` (this is where repeated resharing of the excess ends);
 2. equal-token blocks -> sources by highest quotients ``target / (2 j + 1)``. Only quotients near the final divisor
    are generated (a few for each source), the rest is known to be won;
-3. each source is dealt into shards of a bounded number of words by a seeded hash of the id, so that a hot source is
-   many shards; the source's blocks go to its shards by the same rule: integer quotas for each shard;
+3. each source is dealt into shards of a bounded number of words by a seeded hash of the row (equal rows are numbered),
+   so that a hot source, or an id that a third of all rows share, is many shards; the source's blocks go to its shards by the same rule: integer quotas for each shard;
 4. in a shard documents stand in seeded order and are cut into blocks; whole passes take every block, the rest of
    the quota takes the blocks of smallest seeded hash. A document's share is its overlap with the taken blocks.
 
@@ -30,14 +30,16 @@ WEIGHTS = (1.0, 2.0, 3.0)
 CAP = 3
 #: Words of a block: a millionth of the corpus, between 1 and this.
 BLOCK_WORDS = 256
+#: Blocks below which a source's target is met word by word.
+FEW_BLOCKS = 64
 #: Words of a shard: a 256th of the corpus, at most this.
 SHARD_WORDS = 1 << 22
 
 
 def sizes(docs: DataFrame) -> DataFrame:
-    """doc_id, source, size: the number of words of the whole text."""
+    """doc_id, source, size (the number of words of the whole text), text_hash."""
     n = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
-    return docs.select("doc_id", "source", n.alias("size"))
+    return docs.select("doc_id", "source", n.alias("size"), F.xxhash64("text").alias("text_hash"))
 
 
 def source_targets(sized: DataFrame, weights=WEIGHTS, cap: int = CAP) -> DataFrame:
@@ -84,23 +86,31 @@ def highest_quotients(units: DataFrame, key: str, weight: str, seats: str, withi
 
 
 def mix(docs: DataFrame, weights=WEIGHTS, cap: int = CAP, seed: int = SEED) -> DataFrame:
-    """doc_id, size, source_size, target, taken for every row of `docs` (doc_id, text, source)."""
-    return mix_sized(cut(sizes(docs)), weights, cap, seed)
+    """doc_id, size, source_size, target, taken, source for every row of `docs` (doc_id, text, source)."""
+    return mix_sized(cut(sizes(docs)), weights, cap, seed).drop("text_hash")
 
 
 def mix_sized(sized: DataFrame, weights=WEIGHTS, cap: int = CAP, seed: int = SEED) -> DataFrame:
-    """As :func:`mix`, from rows (doc_id, source, size); further columns are kept."""
+    """As :func:`mix`, from rows (doc_id, source, size); further columns (of types that can be grouped) are kept."""
+    kept = [c for c in sized.columns if c not in ("doc_id", "source", "size")]
+    # equal rows are counted, then told apart by a number: no key holds them all, and reruns number them alike
+    d = sized.select("doc_id", "source", "size", F.struct(F.lit(0).alias("_none"), *(F.col(f"`{c}`") for c in kept)).alias("_kept"))
+    d = d.groupBy("doc_id", "source", "size", "_kept").agg(F.count(F.lit(1)).alias("_copies"))
+    d = d.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), "_copies"))).drop("_copies")
     targets = source_targets(sized, weights, cap)
     block = F.least(F.greatest(F.shiftright("total", 20), F.lit(1)), F.lit(BLOCK_WORDS)).cast("long")
     shard = F.least(F.greatest(F.shiftright("total", 8), F.lit(1)), F.lit(SHARD_WORDS)).cast("long")
     targets = targets.withColumns({"block": block, "n_shards": F.greatest(F.ceil(F.col("source_size") / shard), F.lit(1)).cast("long")})
     targets = targets.withColumn("seats", F.round(F.col("total") / F.col("block")).cast("long"))
-    targets = cut(highest_quotients(targets, "source_id", "target", "seats").withColumnRenamed("quota", "source_quota"))
-
-    d = sized.join(small(targets.select("source", "source_id", "source_size", "target", "n_shards", "block")).alias("t"), sized["source"].eqNullSafe(F.col("t.source"))).drop(F.col("t.source"))
-    spread = F.xxhash64(F.lit(seed), F.col("doc_id").cast("string"))
-    d = d.withColumns({"shard": F.pmod(spread, F.col("n_shards")), "draw": F.xxhash64(F.lit(seed + 1), F.col("doc_id").cast("string"))})
-    in_shard = Window.partitionBy("source_id", "shard").orderBy("draw", "doc_id", "size")
+    targets = highest_quotients(targets, "source_id", "target", "seats").withColumnRenamed("quota", "source_quota")
+    # a target of few blocks is met in words
+    few = F.col("target") < FEW_BLOCKS * F.col("block")
+    targets = cut(targets.withColumn("source_quota", F.when(few, F.round("target").cast("long")).otherwise(F.col("source_quota"))).withColumn("block", F.when(few, F.lit(1)).otherwise(F.col("block")).cast("long")))
+
+    d = d.join(small(targets.select(F.col("source").alias("_source"), "source_id", "source_size", "target", "n_shards", "block")), F.col("source").eqNullSafe(F.col("_source"))).drop("_source")
+    name = (F.col("doc_id").cast("string"), "size", "_kept", "_copy")
+    d = d.withColumns({"shard": F.pmod(F.xxhash64(F.lit(seed), *name), F.col("n_shards")), "draw": F.xxhash64(F.lit(seed + 1), *name)})
+    in_shard = Window.partitionBy("source_id", "shard").orderBy("draw", "doc_id", "size", "_kept", "_copy")
     d = d.withColumns({"nth": F.row_number().over(in_shard), "end": F.sum("size").over(in_shard.rowsBetween(Window.unboundedPreceding, 0))})
     d = cut(d.drop("draw"))
 
@@ -124,12 +134,11 @@ def mix_sized(sized: DataFrame, weights=WEIGHTS, cap: int = CAP, seed: int = SEE
     parts = d.withColumn("nth_block", F.explode_outer(spans)).join(drawn, ["source_id", "shard", "nth_block"], "left")
     low, high = F.col("nth_block") * F.col("block"), (F.col("nth_block") + 1) * F.col("block")
     overlap = F.when(F.col("hit") == 1, F.least("end", high) - F.greatest(F.col("end") - F.col("size"), low)).otherwise(F.lit(0))
-    kept = [c for c in sized.columns if c not in ("doc_id", "source", "size")]
     rows = parts.groupBy("source_id", "shard", "nth").agg(
-        *(F.first(c).alias(c) for c in ["doc_id", "source", "size", "source_size", "target", "passes", *kept]), F.sum(overlap).alias("extra")
+        *(F.first(c).alias(c) for c in ["doc_id", "source", "size", "source_size", "target", "passes", "_kept"]), F.sum(overlap).alias("extra")
     )
     taken = F.coalesce(F.col("passes") * F.col("size"), F.lit(0)) + F.col("extra")
-    return rows.select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"), "source", *kept)
+    return rows.select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"), "source", *(F.col("_kept")[c].alias(c) for c in kept))
 
 
 def op2_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 UPPER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
@@ -343,3 +344,22 @@ def test_pipeline_stages(spark, sf, tmp_path):
     assert pii.where("doc_id = 902").first().text == "mail me at <email> or <email>"
     assert pii.where("n_chars != length(text)").count() == 0
     assert kept["tokens"].count() == kept["mixing"].count() > 0
+
+
+def test_pipeline_on_empty_unlabelled_and_repeated_rows(spark, sf):
+    import corpus_pipeline as c
+
+    d = spark.read.parquet(f"{sf}/documents.parquet")
+    empty = d.where("false")
+    for _, stage in c.STAGES:
+        assert stage(spark, empty, sf).count() == 0
+    # nothing labelled: what has letters stays
+    bare = d.limit(20).withColumn("lang", F.lit(None).cast("string")).unionByName(d.limit(1).withColumn("text", F.lit("12 34")))
+    assert c.language(spark, bare, sf).count() == d.limit(20).where(F.rlike("text", F.lit(r"\p{L}"))).count()
+    # one id, two texts: both are documents of their own
+    words = " ".join(f"w{i}" for i in range(60))
+    twice = spark.createDataFrame([(1, words, "en", "a", 9), (1, words[::-1], "en", "a", 9), (1, words, "en", "a", 9), (None, None, None, None, None)], d.select(*c.COLUMNS).schema)
+    kept = c.near_duplicates(spark, twice, sf).collect()
+    assert sorted(str(r.text) for r in kept) == sorted([words, words[::-1], "None"])
+    mixed = c.mixing(spark, twice, sf)
+    assert {r.text for r in mixed.collect()} <= {words, words[::-1]} and set(mixed.columns) == set(c.COLUMNS)

@@ -66,6 +66,22 @@ def test_mixing_meets_targets_and_caps(spark, sf):
     assert {r.doc_id: r.size for r in sizes(d).collect()} == {r.doc_id: r.size for r in got}
 
 
+def test_mixing_of_equal_rows_and_small_sources(spark):
+    """Null and repeated ids, equal rows and rows that differ in the text only; reruns agree row by row."""
+    from revnn.llm.op2_mixing import mix, mix_sized, sizes
+
+    rows = [(None, "a b c d", "hot")] * 300 + [(5, "x y z", "hot"), (5, "z y x", "hot"), (5, "x y z", "hot"), (6, "one two", "tiny"), (7, None, "tiny"), (8, "", None)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = sorted(map(tuple, mix(d).drop("source").collect()), key=str)
+    assert len(got) == len(rows) and got == sorted(map(tuple, mix(d.repartition(5)).drop("source").collect()), key=str)
+    assert all(0 <= r[4] <= 3 * r[1] for r in got)
+    tiny = [r for r in got if r[0] in (6, 7)]
+    assert sum(r[4] for r in tiny) == round(tiny[0][3])
+    named = mix_sized(sizes(d).withColumnsRenamed({"text_hash": "shard"}).withColumn("passes", F.lit("p")))
+    assert set(named.columns) == {"doc_id", "size", "source_size", "target", "taken", "source", "shard", "passes"}
+    assert {r.passes for r in named.collect()} == {"p"} and named.select("shard").distinct().count() == 6
+
+
 def test_highest_quotients_is_exact(spark):
     from revnn.llm.op2_mixing import highest_quotients
 
