@@ -42,7 +42,9 @@ BASE = {
     "card": r"[0-9](?:[\x20-]?[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
-#: Proposals of each kind: spelled-out addresses, other separators, no plus sign.
+#: Proposals of each kind: spelled-out addresses, other separators, no plus sign. Their counts bound what is proposed as
+#: one span (mail's 64 letters before the @ and 63 in a label, groups of digits of usual length), never which part of a
+#: text is read; base spans have no such bounds.
 LOOSE = {
     "email": rf"(?<!{LOCAL}){LOCAL}{{1,64}}+(?: ?[(\[{{]at[)\]}}] ?| at |@)[A-Za-z0-9-]{{1,63}}+(?:(?: ?[(\[{{]dot[)\]}}] ?| dot |\.)[A-Za-z0-9-]{{1,63}}+){{1,6}}+",
     "ip": r"(?<![0-9])[0-9]{1,3}+(?:(?:\[\.\]|\(\.\)|\[dot\]| \. )[0-9]{1,3}+){3}+(?![0-9])|(?<![0-9A-Za-z:])(?:[0-9A-Fa-f]{1,4}+:){4,7}+:?[0-9A-Fa-f]{1,4}+(?![0-9A-Za-z:])",
@@ -50,6 +52,8 @@ LOOSE = {
     "phone": r"(?<![0-9A-Za-z])(?:00|\+)?+\(?[0-9]{1,4}+\)?+(?:[ ./-]{1,2}+\(?[0-9]{2,5}+\)?+){1,5}+(?![0-9A-Za-z])",
 }
 CUES = {"email": r"mail|contact|write to|reach", "ip": r"\bip\b|host|server|addr|from", "card": r"card|visa|credit|master|amex|account|iban", "phone": r"phone|tel|call|fax|mobile|cell|dial|whatsapp"}
+#: Characters before a candidate that cue words are looked for in.
+CONTEXT = 24
 FILL = "￼"
 SAMPLE_DOCS, SAMPLE_SPANS, PRECISION = 3000, 30_000, 0.97
 TREES, DEPTH, RATE, LEAST_LEAF = 24, 3, 0.3, 10
@@ -88,7 +92,7 @@ def hits_of(text: Column, pattern: str) -> Column:
 def spans_of(q: Column, ord_: int) -> Column:
     """Places of the hits with what stands around them."""
     lengths = F.zip_with(q["hits"], F.slice(q["gaps"], F.lit(1), F.size(q["hits"])), lambda h, g: (F.length(h) + F.length(g)).cast("long"))
-    one = lambda h, i, at: F.struct(at.alias("start"), F.lit(ord_).alias("ord"), (at + F.length(h)).alias("end"), h.alias("hit"), F.right(q["gaps"][i], F.lit(24)).alias("before"), F.left(q["gaps"][i + 1], F.lit(1)).alias("after"))
+    one = lambda h, i, at: F.struct(at.alias("start"), F.lit(ord_).alias("ord"), (at + F.length(h)).alias("end"), h.alias("hit"), F.right(q["gaps"][i], F.lit(CONTEXT)).alias("before"), F.left(q["gaps"][i + 1], F.lit(1)).alias("after"))
     return bind(prefix_sums(lengths), lambda p: F.transform(q["hits"], lambda h, i: bind(p[i] + F.length(q["gaps"][i]), lambda at: one(h, i, at))))
 
 

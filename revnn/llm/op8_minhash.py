@@ -282,8 +282,10 @@ def components(docs: DataFrame, classes: DataFrame, k: int, percent: int, work:
     """(gid, label) of every class that shares a bucket with another one."""
     bucket = ["band", "key"]
     entries = classes.select("gid", F.posexplode("bands").alias(*bucket))
-    size = entries.groupBy(*bucket).agg(F.count(F.lit(1)).alias("size"), F.max("gid").alias("hub")).where("size > 1").select(*bucket, "hub")
+    # kept before the join, so that both sides are exchanged and a frequent bucket can be split
+    size = work.keep(entries.groupBy(*bucket).agg(F.count(F.lit(1)).alias("size"), F.max("gid").alias("hub")).where("size > 1").select(*bucket, "hub"))
     entries = work.keep(entries.join(size, bucket).select(*bucket, "gid", "hub"))
+    work.drop(size)
     own = cut(entries.select("gid").distinct())
     texts = work.keep(texts_of(docs, classes.join(own, "gid", "left_semi").select("gid", "one.doc_id", "one.th")))
 
@@ -306,9 +308,11 @@ def components(docs: DataFrame, classes: DataFrame, k: int, percent: int, work:
 
     def still_mixed(seen: DataFrame) -> DataFrame:
         """Entries, with labels, of buckets that hold several."""
-        named = seen.select(*bucket, "gid").join(labels, "gid")
-        mixed = named.groupBy(*bucket).agg(F.min("label").alias("least"), F.max("label").alias("most")).where("least != most").select(*bucket)
-        return work.keep(named.join(mixed, bucket, "left_semi"))
+        named = work.keep(seen.select(*bucket, "gid").join(labels, "gid"))
+        mixed = work.keep(named.groupBy(*bucket).agg(F.min("label").alias("least"), F.max("label").alias("most")).where("least != most").select(*bucket))
+        out = work.keep(named.join(mixed, bucket, "left_semi"))
+        work.drop(named, mixed)
+        return out
 
     # what is apart from its bucket's commonest label meets a few of that label's classes, drawn anew for each bucket
     named = still_mixed(entries)
