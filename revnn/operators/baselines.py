@@ -81,17 +81,20 @@ def _arc_batch(p: DataFrame, q: DataFrame, rows: list, sectors: int) -> tuple[Da
     xy, k = np.array([(r["qx"], r["qy"]) for r in rows], float), np.array([r["k"] for r in rows], float)
     radii = spread.radius(xy, 12 * (k + 3 * np.sqrt(k) + 2))
     far = np.hypot(np.maximum(xy[:, 0] - box[1], box[3] - xy[:, 0]), np.maximum(xy[:, 1] - box[2], box[4] - xy[:, 1])) * (1 + 1e-9)
+    reach = grid.sector_reaches(box, xy, sectors)
     found, pruners = [], []
     while rows:
         arc = cut(_with_arcs(grid.within_each(p, rows, q, radii.tolist(), box), sectors))
         nth = F.row_number().over(Window.partitionBy("qid", "sector").orderBy("upper"))
         kth = arc.select("qid", "k", "sector", "upper", nth.alias("n")).where(F.col("n") <= int(max(r["k"] for r in rows)) + 1).where("n = k + 1")
         bound = {(r.qid, r.sector): r.upper for r in kth.collect()}
-        full = np.array([b <= a or all(2 * bound.get((r["qid"], s), inf) <= a for s in range(sectors)) for r, a, b in zip(rows, radii, far, strict=True)])
+        # no point of a sector lies beyond what the sector sees of the box
+        ends = [[min(bound.get((r["qid"], s), inf), sees[s]) for s in range(sectors)] for r, sees in zip(rows, reach, strict=True)]
+        full = np.array([b <= a or 2 * max(e) <= a for e, a, b in zip(ends, radii, far, strict=True)])
         done = [r for r, f in zip(rows, full, strict=True) if f]
-        found += [(r["qid"], s, float(bound.get((r["qid"], s), inf))) for r in done for s in range(sectors)]
+        found += [(r["qid"], s, float(e[s])) for r, e, f in zip(rows, ends, full, strict=True) if f for s in range(sectors)]
         pruners.append(arc.drop("k") if full.all() else arc.drop("k").join(F.broadcast(grid.local(done, q).select("qid")), "qid", "left_semi"))
-        rows, radii, far = [r for r, f in zip(rows, full, strict=True) if not f], 2 * radii[~full], far[~full]
+        rows, radii, far, reach = [r for r, f in zip(rows, full, strict=True) if not f], grid.GROWTH * radii[~full], far[~full], reach[~full]
     bounds = q.sparkSession.createDataFrame(found, StructType([q.schema["qid"], StructField("sector", IntegerType()), StructField("bound", DoubleType())]))
     return bounds, reduce(DataFrame.unionByName, pruners)
 

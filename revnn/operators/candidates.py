@@ -56,13 +56,13 @@ def sector_reach(box, s: int, sectors: int = 6) -> Column:
 COLUMNS = ("qid", "id", "x", "y", "d2", "sector", "rank_in_sector")
 
 
-def six_sector(p: DataFrame, q: DataFrame, sectors: int = 6, box=None, spread: Density | None = None) -> DataFrame:
+def six_sector(p: DataFrame, q: DataFrame, sectors: int = 6, box=None, spread: Density | None = None, rows: list | None = None) -> DataFrame:
     """(qid, id, x, y, d2, sector, rank_in_sector): discs grow until every sector holds k points or all it can see.
 
     A bounded batch starts with discs that fit the density around each query, so that one round mostly does; the
     driver sees a count for each query and sector. Larger batches start alike everywhere; one count for each round
     comes to the driver. Queries that are finished leave the loop."""
-    rows = grid.bounded(q)
+    rows = grid.bounded(q) if rows is None else rows
     if rows is not None:
         spread = spread or density(p)
         return _batch(p, q, rows, sectors, spread) if rows and spread.box[0] else _none(p, q, sectors)
@@ -94,20 +94,20 @@ def _batch(p: DataFrame, q: DataFrame, rows: list, sectors: int, spread: Density
     xy, k = np.array([(r["qx"], r["qy"]) for r in rows], float), np.array([r["k"] for r in rows], float)
     # room for the emptiest of the sectors
     radii = spread.radius(xy, sectors * (k + 2.5 * np.sqrt(k) + 1))
-    reach = {r["qid"]: [x or 0.0 for x in r["reach"]] for r in grid.local(rows, q).select("qid", F.array(*(sector_reach(box, s, sectors) for s in range(sectors))).alias("reach")).collect()}
+    reach = grid.sector_reaches(box, xy, sectors)
     while rows:
         near = grid.within_each(p, rows, q, radii.tolist(), box).where(OTHER)
         top = cut(top_by_sector(near, sectors, int(max(r["k"] for r in rows))).select(*COLUMNS))
         held = {}
         for r in top.groupBy("qid", "sector").count().collect():
             held.setdefault(r.qid, {})[r.sector] = r["count"]
-        full = [all(held.get(r["qid"], {}).get(s, 0) >= r["k"] or reach[r["qid"]][s] <= radius for s in range(sectors)) for r, radius in zip(rows, radii, strict=True)]
-        if all(full):
+        full = np.array([all(held.get(r["qid"], {}).get(s, 0) >= r["k"] or far[s] <= radius for s in range(sectors)) for r, far, radius in zip(rows, reach, radii, strict=True)])
+        if full.all():
             done.append(top)
             break
-        if any(full):
+        if full.any():
             done.append(top.join(F.broadcast(grid.local([r for r, f in zip(rows, full, strict=True) if f], q).select("qid")), "qid", "left_semi"))
-        rows, radii = [r for r, f in zip(rows, full, strict=True) if not f], 2 * radii[~np.array(full)]
+        rows, radii, reach = [r for r, f in zip(rows, full, strict=True) if not f], grid.GROWTH * radii[~full], reach[~full]
     return reduce(DataFrame.unionByName, done)
 
 

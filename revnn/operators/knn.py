@@ -75,7 +75,7 @@ def _batch(p: DataFrame, q: DataFrame, rows: list, spread: Density) -> DataFrame
             break
         if full.any():
             done.append(near.join(F.broadcast(grid.local([r for r, f in zip(rows, full, strict=True) if f], q).select("qid")), "qid", "left_semi"))
-        rows, radii, far = [r for r, f in zip(rows, full, strict=True) if not f], 2 * radii[~full], far[~full]
+        rows, radii, far = [r for r, f in zip(rows, full, strict=True) if not f], grid.GROWTH * radii[~full], far[~full]
     return reduce(DataFrame.unionByName, done)
 
 

@@ -66,7 +66,7 @@ def conic_decisions(p: DataFrame, q: DataFrame, order: str = "boundary_out", mat
     if rows is None or plan == "wave":
         return _decisions_by_joins(p, q, order, match, rules, index, plan, candidates, max_bundle)
     spread = density(p)
-    c = six_sector(p, q, spread=spread) if candidates is None else candidates
+    c = six_sector(p, q, spread=spread, rows=rows) if candidates is None else candidates
     if not rows or not spread.box[0]:
         return c.limit(0).selectExpr("CAST(qid AS INT) AS qid", "id", "false AS member", "'' AS decision", "CAST(NULL AS LONG) AS witness_id", "d2 AS r", "0 AS visit_ord")
     near = F.sort_array(F.collect_list("d2"))

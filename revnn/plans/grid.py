@@ -8,8 +8,11 @@ from __future__ import annotations
 
 from math import floor, log2, sqrt
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import DoubleType, StructField, StructType
 
 from revnn.functions.geometry import dist2
@@ -53,9 +56,39 @@ def bounded(q: DataFrame) -> list | None:
 
 
 def local(rows: list, like: DataFrame, **more: list) -> DataFrame:
-    """Rows on the driver as a DataFrame with further double columns; nothing runs to read it."""
+    """Rows on the driver as a DataFrame with further double columns: a local relation, nothing runs to read it."""
     schema = StructType([*like.schema.fields, *(StructField(c, DoubleType()) for c in more)])
-    return like.sparkSession.createDataFrame([(*r, *x) for r, *x in zip(rows, *more.values(), strict=True)], schema)
+    plain = [r.asDict(recursive=True) | dict(zip(more, x, strict=True)) for r, *x in zip(rows, *more.values(), strict=True)]
+    return like.sparkSession.createDataFrame(pa.Table.from_pylist(plain, to_arrow_schema(schema)), schema)
+
+
+#: How much discs grow that did not hold enough.
+GROWTH = 4
+
+
+def sector_reaches(box, xy: np.ndarray, sectors: int = 6) -> np.ndarray:
+    """(queries, sectors): how far a sector of a query can see points of the box, rounded up."""
+    _, x0, y0, x1, y1 = box
+    corners = np.array([(a, b) for a in (x0, x1) for b in (y0, y1)])
+    to = corners[None] - xy[:, None]
+    far = np.hypot(to[..., 0], to[..., 1])
+    place = np.mod(np.arctan2(to[..., 1], to[..., 0]), 2 * np.pi) * sectors / (2 * np.pi)
+    rays = []
+    with np.errstate(divide="ignore", invalid="ignore"):
+        for a in range(sectors):
+            ux, uy = np.cos(2 * np.pi * a / sectors), np.sin(2 * np.pi * a / sectors)
+            tx = ((x1 if ux > 0 else x0) - xy[:, 0]) / ux if abs(ux) > 1e-12 else np.full(len(xy), np.inf)
+            ty = ((y1 if uy > 0 else y0) - xy[:, 1]) / uy if abs(uy) > 1e-12 else np.full(len(xy), np.inf)
+            rays.append(np.minimum(tx, ty))
+    out = np.empty((len(xy), sectors))
+    for s in range(sectors):
+        # a corner at an edge counts for both sides
+        off = np.mod(place - s + sectors / 2, sectors) - sectors / 2
+        inside = np.where((off >= -1e-9) & (off <= 1 + 1e-9), far, 0.0).max(axis=1)
+        out[:, s] = np.maximum(inside, np.maximum(rays[s], rays[(s + 1) % sectors])) * (1 + 1e-9)
+    beyond = ~((xy[:, 0] >= x0) & (xy[:, 0] <= x1) & (xy[:, 1] >= y0) & (xy[:, 1] <= y1))
+    out[beyond] = far[beyond].max(axis=1, keepdims=True) * (1 + 1e-9)
+    return out
 
 
 #: Powers of two between the smallest and the largest radius of a batch that have grids of their own.
