@@ -351,6 +351,25 @@ def m11(s, sf):
     return out
 
 
+@query("m11_hop_limit")
+def m11_limit(s, sf):
+    """Recall of the expansion with a limit of k hops and without one."""
+    p, q = setting(s, sf, "customer_uniform", 5)
+    index = cut(voronoi.cells(cut(p)).select("id", "x", "y", "nbrs"))
+    direct = cut(candidates.six_sector(p, q).select("qid", "id"))
+    runs = {"k": -1, "none": None}
+    out = [measures.recall(graph.delaunay_expand(index, q, max_hops=h)[0].select("qid", "id"), direct).withColumn("hop_limit", F.lit(name)) for name, h in runs.items()]
+    return out[0].unionByName(out[1])
+
+
+@query("m11_expand_all", f"with {sql_base('supplier_uniform', 5)}, {SQL_C} select qid, id, sector, rank_in_sector from c")
+def m11_all(s, sf):
+    """Handing on from every point and without a hop limit, the expansion reaches all that six sectors hold."""
+    p, q = setting(s, sf, "supplier_uniform", 5)
+    index = cut(voronoi.cells(cut(p)).select("id", "x", "y", "nbrs"))
+    return graph.delaunay_expand(index, q, max_hops=None, expand="all")[0].select("qid", "id", "sector", "rank_in_sector")
+
+
 @query("m17_knn_voronoi", sql_knn("customer_uniform", 10))
 def m17(s, sf):
     p, q = setting(s, sf, "customer_uniform", 10)

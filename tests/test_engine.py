@@ -139,14 +139,42 @@ def test_self_counting_bound_loses_members(spark):
     assert not pairs(rknn.conic(p, q)) <= cut_short
 
 
-def test_last_point_bound_loses_members():
-    """Accepting a point only if it is nearer than the last one held keeps ever nearer points only."""
-    d = [1.0, 2.0, 3.0]
-    held: list[float] = []
-    for v in d:
-        if not held or v <= held[-1]:
-            held.append(v)
-    assert held == [1.0] and len(d) > len(held)
+def test_last_point_bound_loses_members(spark):
+    """Expanding only through points that are nearer than the last one held in their sector misses members."""
+    p = S.uniform(spark, 150)
+    near = {r.id: [n.id for n in r.nbrs] for r in voronoi.cells(p).select("id", "nbrs").collect()}
+    xy = {r.id: np.array([r.x, r.y]) for r in p.collect()}
+    lost = 0
+    for q in range(0, 150, 30):
+        d = {i: float(np.hypot(*(xy[i] - xy[q]))) for i in xy if i != q}
+        members = {i for i in d if sum(np.hypot(*(xy[i] - xy[j])) < d[i] for j in xy if j not in (i, q)) < 5}
+        last, held, seen, level = {}, set(), {q}, [i for i in near[q]]
+        while level:
+            after = []
+            for i in level:
+                if i in seen:
+                    continue
+                seen.add(i)
+                s = int(np.mod(np.arctan2(*(xy[i] - xy[q])[::-1]), 2 * np.pi) // (np.pi / 3))
+                if d[i] <= last.get(s, np.inf):
+                    last[s] = d[i]
+                    held.add(i)
+                    after += near[i]
+            level = after
+        lost += len(members - held)
+    assert lost > 0
+
+
+def test_regions_on_point_layouts(spark):
+    """Points placed by hand inside and outside of an accepted witness's ellipse and a rejected one's hyperbola."""
+    points = [(1, 1.0, 0.5), (2, 1.0, 1.5), (3, 5.0, 0.0), (4, 0.0, 1.0), (5, -0.4, 0.0), (6, -0.6, 0.0), (7, 4.0, 3.0), (8, 2.2, 0.0)]
+    c = spark.createDataFrame([(1, i, x, y, x * x + y * y) for i, x, y in points], "qid int, id long, x double, y double, d2 double")
+    w = spark.createDataFrame([(1, 100, 2.0, 0.0, 2.0, 3.0), (1, 200, 4.0, 0.0, 4.0, 1.0)], "qid int, witness_id long, wx double, wy double, wd double, wr double")
+    got = {(r.witness_id, r.id, r.kind) for r in verify.decides(c, w).collect()}
+    inside, beyond = {1, 5, 8}, {3, 7}
+    assert {i for wid, i, kind in got if kind == "positive"} == inside and {wid for wid, _, kind in got if kind == "positive"} == {100}
+    # 8 lies nearer to the query than to the far branch: 2.2 - 1.8 < 1
+    assert {i for wid, i, kind in got if kind == "negative"} == beyond and {wid for wid, _, kind in got if kind == "negative"} == {200}
 
 
 @pytest.mark.parametrize("kind", ["uniform", "clustered", "line"])
