@@ -45,8 +45,11 @@ class AnswerBundle:
         xy = np.array([r[6:] for r in self.rows], float)
         for i, place in enumerate(xy):
             if ids[i] != q_id:
-                d2 = ((xy - place) ** 2).sum(axis=1)
-                closer = int((d2[ids != ids[i]] < (place[0] - qx) ** 2 + (place[1] - qy) ** 2).sum())
+                d = xy - place
+                d2 = d[:, 0] * d[:, 0] + d[:, 1] * d[:, 1]
+                # products: a power of a single number may differ from them in its last bit
+                dx, dy = place[0] - qx, place[1] - qy
+                closer = int((d2[ids != ids[i]] < dx * dx + dy * dy).sum())
                 yield qid, int(ids[i]), closer < k
 
 
